@@ -2,12 +2,19 @@
 
 from __future__ import annotations
 
-from relmix.llm import exact_dedup, mixing
+from relmix.llm import bpe, exact_dedup, licenses, mixing, near_dedup, token_counts
 
 
 def queries() -> dict:
-    return {"op2_exact_dedup": exact_dedup.op2_exact_dedup, "op10_mix_sources": mixing.op10_mix_sources}
+    return {
+        "op2_exact_dedup": exact_dedup.op2_exact_dedup,
+        "op3_byte_bpe": bpe.op3_byte_bpe,
+        "op5_token_counts": token_counts.op5_token_counts,
+        "op8_near_dedup": near_dedup.op8_near_dedup,
+        "op9_license_scan": licenses.op9_license_scan,
+        "op10_mix_sources": mixing.op10_mix_sources,
+    }
 
 
 def oracle_sql() -> dict:
-    return {"op2_exact_dedup": exact_dedup.OP2_SQL, "op10_mix_sources": mixing.OP10_SQL}
+    return {"op2_exact_dedup": exact_dedup.OP2_SQL, "op9_license_scan": licenses.OP9_SQL, "op10_mix_sources": mixing.OP10_SQL}
