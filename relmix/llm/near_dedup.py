@@ -259,7 +259,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     held = stored(grouped.join(reps.select(F.col("rep").alias("node"), "n_sh"), "node"), "near-candidates")
     sizes = held.groupBy("root").agg(F.ceil(F.sum("n_sh") / SHINGLE_BLOCK).alias("nb"))
     chosen = held.join(sizes, "root").select(F.col("root").alias("comp"), "nb", F.col("node").alias("id"))
-    with_text = texts.join(chosen, "id").select("comp", "nb", "id", "text")
+    # merged at every size: the candidates grow with the data, so neither side may be broadcast
+    with_text = texts.join(chosen.hint("merge"), "id").select("comp", "nb", "id", "text")
     sets = with_text.mapInArrow(_sets(width), "comp bigint, nb bigint, id bigint, sh binary")
     links = _block_pairs(sets, "comp", "nb", "sh").mapInArrow(_confirmed_edges(num, den), "u bigint, v bigint")
     linked = components(links)
