@@ -56,6 +56,8 @@ class DigestIndex:
     def add(self, groups: DataFrame) -> DataFrame:
         """groups: (digest, best). Appends what is new and returns (digest, keep_id, known) for every group."""
         known = self.rows()
+        # written first: else the anti-join is pushed below the aggregate and copies of one text meet in a task
+        groups = stored(groups, "dedup-found")
         fresh = groups.hint("merge").join(known, "digest", "left_anti").select("digest", F.col("best").alias("keep_id"))
         dealt = fresh.repartition(self.buckets, "digest").sortWithinPartitions("digest")
         marked = groups.join(known.hint("merge"), "digest", "left").select("digest", F.coalesce("keep_id", "best").alias("keep_id"), F.col("keep_id").isNotNull().alias("known"), "n")
