@@ -32,3 +32,20 @@ def replaced(df: DataFrame, names: list[str]) -> DataFrame:
     """The frame without the columns an operator is about to add; its outputs replace them."""
     low = {n.lower() for n in names}
     return df.drop(*[c for c in df.columns if c.lower() in low])
+
+
+#: Rows and bytes of one Arrow batch of texts. Spark's default of 10,000 rows makes batches of tens of
+#: megabytes, of which every operator in a task holds several outside the heap.
+BATCH_ROWS, BATCH_BYTES = 512, 4 << 20
+
+
+def small_batches(df: DataFrame) -> DataFrame:
+    """Bound the session's Arrow batches (a runtime setting) and return the frame."""
+    conf = df.sparkSession.conf
+    if int(conf.get("spark.sql.execution.arrow.maxRecordsPerBatch", "10000")) not in range(1, BATCH_ROWS + 1):
+        conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH_ROWS))
+    try:
+        conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
+    except Exception:  # noqa: BLE001  a Spark version without this bound
+        pass
+    return df
