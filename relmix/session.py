@@ -17,6 +17,9 @@ def ready(spark: SparkSession) -> SparkSession:
     known = env.get("PYTHONPATH", "") or os.environ.get("PYTHONPATH", "")
     if REPO_ROOT not in known.split(os.pathsep):
         env["PYTHONPATH"] = os.pathsep.join(x for x in (REPO_ROOT, known) if x)
+    # workers outlive their tasks: few malloc arenas and the system's allocator give freed memory back
+    for name, value in (("ARROW_DEFAULT_MEMORY_POOL", "system"), ("MALLOC_ARENA_MAX", "2")):
+        env.setdefault(name, value)
     return spark
 
 
