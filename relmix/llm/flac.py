@@ -28,7 +28,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from relmix.llm.columns import replaced
+from relmix.llm.columns import replaced, small_batches
+from relmix.llm.workers import tidy
 
 BLOCK, PAD, RATE, ORDER, PRECISION = 4096, 64, 8000, 8, 12
 CHUNK = 1 << 20
@@ -56,16 +57,34 @@ def crc8(data: bytes) -> int:
     return crc
 
 
+def _crc16_pairs() -> np.ndarray:
+    """CRC-16 of every two-byte word, so that a step of the checksum is one look-up for two bytes."""
+    high = CRC16[np.arange(65536) >> 8]
+    return ((high << 8) ^ CRC16[(high >> 8) ^ (np.arange(65536) & 0xFF)]).astype(np.uint16)
+
+
+CRC16_PAIRS = _crc16_pairs()
+
+
 def crc16_many(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """CRC-16 of many byte ranges, one byte of all ranges at a time (longest first, so the active ones are a prefix)."""
+    """CRC-16 of many byte ranges, two bytes of all ranges at a time (longest first, so the active ones are a prefix).
+
+    The register starts at 0, so a range of odd length begins with its first byte alone.
+    """
+    if not len(starts):
+        return np.zeros(0, np.uint16)
     size = ends - starts
     order = np.argsort(-size, kind="stable")
-    at, left = starts[order], size[order]
-    crc = np.zeros(len(at), np.uint16)
-    active = np.searchsorted(-left, -np.arange(1, (left[0] if len(left) else 0) + 1), "right")
+    at, left = starts[order].astype(np.int64), size[order]
+    words = np.empty(len(data), np.uint16)
+    words[:-1] = data[:-1].astype(np.uint16) << 8 | data[1:]
+    crc = np.where(left % 2 == 1, CRC16[data[np.minimum(at, len(data) - 1)]], 0).astype(np.uint16)
+    at, pairs = at + left % 2, left // 2
+    active = np.searchsorted(-pairs, -np.arange(1, pairs.max() + 1), "right")
+    if (np.diff(pairs) > 0).any():  # an odd and an even length may share a rank
+        active = np.array([np.count_nonzero(pairs >= i) for i in range(1, int(pairs.max()) + 1)])
     for i, n in enumerate(active.tolist()):
-        c = crc[:n]
-        crc[:n] = (c << 8) ^ CRC16[(c >> 8) ^ data[at[:n] + i]]
+        crc[:n] = CRC16_PAIRS[crc[:n] ^ words[at[:n] + 2 * i]]
     out = np.empty_like(crc)
     out[order] = crc
     return out
@@ -129,7 +148,7 @@ def _predictors(x: np.ndarray, length: np.ndarray) -> tuple[np.ndarray, np.ndarr
 
 
 def _zigzag(e: np.ndarray) -> np.ndarray:
-    return np.where(e < 0, -2 * e - 1, 2 * e)
+    return (e << 1) ^ (e >> (8 * e.itemsize - 1))
 
 
 def _rice_cost(u: np.ndarray, order: int | np.ndarray, length: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -149,7 +168,7 @@ def _rice_cost(u: np.ndarray, order: int | np.ndarray, length: np.ndarray) -> tu
 
 
 def _encode_frames(x: np.ndarray, length: np.ndarray, numbers: list[int]) -> tuple[np.ndarray, np.ndarray]:
-    """Frames of a padded sample matrix: (bytes of all frames, byte offsets)."""
+    """Frames of a padded sample matrix: (bytes of all frames, byte offsets); the last two bytes of each are still zero."""
     inside = np.arange(x.shape[1]) < length[:, None]
     residuals, costs, ks = [], [], []
     e = x.astype(np.int32)
@@ -233,8 +252,6 @@ def _encode_frames(x: np.ndarray, length: np.ndarray, numbers: list[int]) -> tup
     if len(spill):
         low += np.bincount(last[spill] - 1, over[spill], words)
     data = low.astype(np.uint64).astype(">u4").view(np.uint8)[: offsets[-1]].copy()
-    crc = crc16_many(data, offsets[:-1], offsets[1:] - 2)
-    data[offsets[1:] - 2], data[offsets[1:] - 1] = (crc >> 8).astype(np.uint8), (crc & 0xFF).astype(np.uint8)
     return data, offsets
 
 
@@ -255,7 +272,8 @@ def encode_payloads(payloads: list[bytes]) -> list[bytes]:
             rows.append(part)
             lengths.append(len(part))
     length = np.array(lengths)
-    data, sizes = [None] * len(rows), np.zeros(len(rows), np.int64)
+    blobs, begins, base = [], np.zeros(len(rows), np.int64), 0
+    sizes = np.zeros(len(rows), np.int64)
     # frames of like length together, a bounded number at a time
     order = np.argsort(length, kind="stable")
     group = CHUNK // 4 // BLOCK
@@ -265,10 +283,15 @@ def encode_payloads(payloads: list[bytes]) -> list[bytes]:
         for j, f in enumerate(pick):
             x[j, : lengths[f]] = rows[f].astype(np.int16) - 128
         blob, offsets = _encode_frames(x, length[pick], [numbers[f] for f in pick])
-        raw = blob.tobytes()
-        for j, f in enumerate(pick):
-            data[f] = raw[offsets[j] : offsets[j + 1]]
-            sizes[f] = offsets[j + 1] - offsets[j]
+        blobs.append(blob)
+        begins[pick] = base + offsets[:-1]
+        sizes[pick] = np.diff(offsets)
+        base += int(offsets[-1])
+    whole, ends = np.concatenate(blobs), begins + sizes
+    crc = crc16_many(whole, begins, ends - 2)
+    whole[ends - 2], whole[ends - 1] = (crc >> 8).astype(np.uint8), (crc & 0xFF).astype(np.uint8)
+    raw = whole.tobytes()
+    data = [raw[a:b] for a, b in zip(begins.tolist(), ends.tolist(), strict=True)]
     out, at = [], 0
     for i, p in enumerate(payloads):
         stop = at
@@ -333,7 +356,7 @@ def _frame_start(data: bytes, at: int, block: int) -> tuple[int, int, int]:
 
 def _bits_at(words: np.ndarray, at: np.ndarray, width: np.ndarray | int) -> np.ndarray:
     """Unsigned fields of up to 24 bits at bit positions, from big-endian 32-bit words at every byte."""
-    return (words[at >> 3] >> (32 - (at & 7) - width)) & ((1 << width) - 1)
+    return (words[at >> 3].astype(np.int64) >> (32 - (at & 7) - width)) & ((1 << width) - 1)
 
 
 def _signed(value: np.ndarray, width: int) -> np.ndarray:
@@ -344,7 +367,7 @@ def decode_frames(raw: bytes, starts: list[int], blocks: list[int]) -> tuple[lis
     """Decode the frames that begin at ``starts`` (byte ranges need not be known): (samples or None, end offsets, numbers)."""
     n = len(starts)
     data = np.concatenate([np.frombuffer(raw, np.uint8), np.zeros(8, np.uint8)])
-    wide = data.astype(np.int64)
+    wide = data.astype(np.uint32)
     words = wide[:-3] << 24 | wide[1:-2] << 16 | wide[2:-1] << 8 | wide[3:]
     bits = np.unpackbits(data)
     top = len(bits)
@@ -361,7 +384,7 @@ def decode_frames(raw: bytes, starts: list[int], blocks: list[int]) -> tuple[lis
     limit = 8 * len(raw)
     kind = np.where(ok, _bits_at(words, np.minimum(at, limit), 8) >> 1, 1)
     at = at + 8
-    out = np.zeros((int(length.max()) if n else 0, n), np.int64)  # time by frame
+    out = np.zeros((int(length.max()) if n else 0, n), np.int32)  # time by frame
     order = np.where(kind >= 32, kind - 31, np.where((kind >= 8) & (kind <= 12), kind - 8, 0))
     predicted = ok & ((kind >= 32) | ((kind >= 8) & (kind <= 12)))
     ok &= predicted | (kind <= 1)
@@ -413,7 +436,7 @@ def decode_frames(raw: bytes, starts: list[int], blocks: list[int]) -> tuple[lis
     check = np.flatnonzero(ok)
     if len(check):
         crc = crc16_many(data, np.array(starts)[check], ends[check] - 2)
-        stored = wide[ends[check] - 2] << 8 | wide[ends[check] - 1]
+        stored = wide[ends[check] - 2].astype(np.int64) << 8 | wide[ends[check] - 1]
         ok[check] = crc == stored
     samples = [out[: length[i], i] if ok[i] else None for i in range(n)]
     return samples, ends.tolist(), number.tolist()
@@ -473,11 +496,11 @@ def _undo_prediction(out, who, kind, order, coef, shift, length) -> None:
     for o in np.unique(order[linear]):
         own = linear[order[linear] == o]
         own = own[np.argsort(-length[own], kind="stable")]
-        s, c, sh = out[:, own], coef[:o, own][::-1], shift[own]
+        s, c, sh = out[:, own], coef[:o, own][::-1].astype(np.int32), shift[own].astype(np.int32)
         longest = int(length[own[0]])
         active = np.searchsorted(-length[own], -np.arange(o + 1, longest + 1), "right")
         for t, n in zip(range(int(o), longest), active.tolist(), strict=True):
-            s[t, :n] += (s[t - o : t, :n] * c[:, :n]).sum(0) >> sh[:n]
+            s[t, :n] += np.add.reduce(s[t - o : t, :n] * c[:, :n], 0, np.int32) >> sh[:n]
         out[:, own] = s
 
 
@@ -611,7 +634,7 @@ def encode(docs: DataFrame, text_col: str = "text") -> DataFrame:
                 files = encode_payloads([payload_of(x.encode() if isinstance(x, str) else x or b"") for x in part])
                 yield _with(batch.slice(first, len(part)), ["flac"], [pa.array(files, pa.binary())])
 
-    return kept.mapInArrow(run, _schema(kept).add("flac", "binary"))
+    return small_batches(kept).mapInArrow(tidy(run), _schema(kept).add("flac", "binary"))
 
 
 _BLOCKS = pa.list_(pa.struct([("sample_offset", pa.int64()), ("byte_offset", pa.int64()), ("samples", pa.int32())]))
@@ -638,7 +661,7 @@ def decode(media: DataFrame, flac_col: str = "flac") -> DataFrame:
                 )
 
     block = T.StructType().add("sample_offset", "long").add("byte_offset", "long").add("samples", "integer")
-    return kept.mapInArrow(run, _schema(kept).add("payload", "binary").add("valid", "boolean").add("pcm", T.ArrayType(block)).add("feature", "string"))
+    return small_batches(kept).mapInArrow(tidy(run), _schema(kept).add("payload", "binary").add("valid", "boolean").add("pcm", T.ArrayType(block)).add("feature", "string"))
 
 
 def pcm_blocks(decoded: DataFrame, id_col: str = "doc_id") -> DataFrame:
