@@ -39,9 +39,8 @@ def encode_bytes(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     """Every document with its token ids; the ids are decoded again and must give the text."""
     import public_tokenizers
 
-    path = public_tokenizers.path("byte_bpe_50k.tiktoken")
-    coded = bpe.decode(bpe.encode(docs, path), path)
-    return coded.selectExpr("doc_id", "lang", "source", "n_tokens", "ids", "slice_offsets", "decoded <=> CAST(coalesce(text, '') AS BINARY) AS round_trip")
+    coded = bpe.encode_checked(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"))
+    return coded.select("doc_id", "lang", "source", "n_tokens", "ids", "slice_offsets", "round_trip")
 
 
 STAGES = [

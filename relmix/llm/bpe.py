@@ -31,7 +31,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from relmix.llm.columns import replaced
+from relmix.llm.columns import replaced, small_batches
+from relmix.llm.workers import tidy
 
 # classes
 BREAK, BLANK, SPACE, LETTER, NUMBER, OTHER, APOSTROPHE, ONE, R, V, L, E = range(12)
@@ -299,7 +300,7 @@ def encode(docs: DataFrame, ranks_path: str, text_col: str = "text") -> DataFram
 
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in kept.schema.fields])
     schema = schema.add("ids", "binary").add("n_tokens", "long").add("slice_offsets", "binary")
-    return kept.mapInArrow(run, schema)
+    return small_batches(kept).mapInArrow(tidy(run), schema)
 
 
 @lru_cache(maxsize=2)
@@ -338,7 +339,34 @@ def decode(coded: DataFrame, ranks_path: str, ids_col: str = "ids") -> DataFrame
                 yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(texts, pa.binary())], names=[*rows.schema.names, "decoded"])
 
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in kept.schema.fields]).add("decoded", "binary")
-    return kept.mapInArrow(run, schema)
+    return small_batches(kept).mapInArrow(tidy(run), schema)
+
+
+def encode_checked(docs: DataFrame, ranks_path: str, text_col: str = "text") -> DataFrame:
+    """As ``encode``, with ``round_trip``: whether the ids decode to the text's bytes. Both steps run in one
+    worker, so a task keeps one Python process busy instead of two."""
+    kept = replaced(docs, ["ids", "n_tokens", "slice_offsets", "round_trip"])
+    where = [c.lower() for c in kept.columns].index(text_col.lower())
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cache, table = worker_cache(ranks_path), token_bytes(ranks_path)
+        for batch in batches:
+            done = 0
+            for part in _text_chunks(batch.column(where)):
+                coded = encode_texts(part, cache)
+                extra = [
+                    pa.array([x[0] for x in coded], pa.binary()),
+                    pa.array([len(x[0]) // 4 for x in coded], pa.int64()),
+                    pa.array([x[1].astype("<u4").tobytes() for x in coded], pa.binary()),
+                    pa.array([decode_ids(x[0], table) == t.encode() for x, t in zip(coded, part, strict=True)], pa.bool_()),
+                ]
+                rows = batch.slice(done, len(part))
+                done += len(part)
+                yield pa.RecordBatch.from_arrays([*rows.columns, *extra], names=[*rows.schema.names, "ids", "n_tokens", "slice_offsets", "round_trip"])
+
+    schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in kept.schema.fields])
+    schema = schema.add("ids", "binary").add("n_tokens", "long").add("slice_offsets", "binary").add("round_trip", "boolean")
+    return small_batches(kept).mapInArrow(tidy(run), schema)
 
 
 def op3_byte_bpe(spark, sf_dir: str) -> DataFrame:

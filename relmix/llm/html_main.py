@@ -32,7 +32,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from relmix.llm.columns import replaced
+from relmix.llm.columns import replaced, small_batches
+from relmix.llm.workers import tidy
 
 #: Element groups of HTML.
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
@@ -538,7 +539,7 @@ def extract(pages: DataFrame, html_col: str = "html", model: BoostedTrees | None
                 yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(texts, pa.string())], names=[*rows.schema.names, "main_text"])
 
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in kept.schema.fields]).add("main_text", "string")
-    return kept.mapInArrow(run, schema)
+    return small_batches(kept).mapInArrow(tidy(run), schema)
 
 
 def op6_main_text(spark, sf_dir: str) -> DataFrame:

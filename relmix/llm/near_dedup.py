@@ -31,9 +31,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from relmix.llm.columns import narrow
+from relmix.llm.columns import narrow, small_batches
 from relmix.llm.components import components
 from relmix.llm.textarrays import batch_shingles, mixed
+from relmix.llm.workers import tidy
 from relmix.session import stored
 
 HASHES, BANDS, ROWS, BITS = 128, 25, 5, 4
@@ -242,7 +243,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     The link of similarity num / den and above is tested as (den) * common >= num * union.
     """
     texts = narrow(docs, id=id_col, text=text_col).select(F.col("id").cast("bigint").alias("id"), "text")
-    rows = stored(texts.mapInArrow(_features(width), FEATURES), "near-features")
+    rows = stored(small_batches(texts).mapInArrow(tidy(_features(width)), FEATURES), "near-features")
     usable = rows.filter("n_sh > 0 AND id IS NOT NULL")
     classes = usable.groupBy("d1", "d2", "n_sh").agg(F.min("id").alias("rep"), F.first("bands").alias("bands"), F.first("sig").alias("sig"))
     reps = stored(classes, "near-classes")
@@ -252,7 +253,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("first"), F.expr("bit_xor(xxhash64(id))").alias("x1"), F.expr("bit_xor(xxhash64(id, 7))").alias("x2")).filter("n > 1")
     shared = shared.groupBy("n", "first", "x1", "x2").agg(F.min("key").alias("key")).select("key", F.ceil(F.col("n") / BUCKET_BLOCK).alias("nb"))
     members = keyed.join(shared, "key").join(reps.select(F.col("rep").alias("id"), "sig"), "id")
-    candidates = _block_pairs(members, "key", "nb", "sig").mapInArrow(_bucket_edges(num / den - MARGIN), "u bigint, v bigint")
+    candidates = _block_pairs(members, "key", "nb", "sig").mapInArrow(tidy(_bucket_edges(num / den - MARGIN)), "u bigint, v bigint")
     grouped = components(candidates)
 
     # confirm on full sets inside each component of candidates
@@ -261,8 +262,8 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     chosen = held.join(sizes, "root").select(F.col("root").alias("comp"), "nb", F.col("node").alias("id"))
     # merged at every size: the candidates grow with the data, so neither side may be broadcast
     with_text = texts.join(chosen.hint("merge"), "id").select("comp", "nb", "id", "text")
-    sets = with_text.mapInArrow(_sets(width), "comp bigint, nb bigint, id bigint, sh binary")
-    links = _block_pairs(sets, "comp", "nb", "sh").mapInArrow(_confirmed_edges(num, den), "u bigint, v bigint")
+    sets = with_text.mapInArrow(tidy(_sets(width)), "comp bigint, nb bigint, id bigint, sh binary")
+    links = _block_pairs(sets, "comp", "nb", "sh").mapInArrow(tidy(_confirmed_edges(num, den)), "u bigint, v bigint")
     linked = components(links)
 
     roots = reps.select("d1", "d2", "n_sh", "rep").join(linked.withColumnRenamed("node", "rep"), "rep", "left").select("d1", "d2", "n_sh", F.coalesce("root", "rep").alias("root"))

@@ -26,8 +26,9 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from relmix.llm.columns import narrow
+from relmix.llm.columns import narrow, small_batches
 from relmix.llm.textarrays import chunks, text_bytes, words
+from relmix.llm.workers import tidy
 from relmix.session import stored
 
 MAX_LABELLED = 20_000
@@ -99,7 +100,7 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     share = int(min(1.0, most / total) * 1_000_000) + 1
     picked = F.broadcast(marks.filter(F.pmod(F.xxhash64("k", F.lit(5)), F.lit(1_000_000)) < share))  # about ``most`` rows of 16 bytes
     texts = docs.select(F.col(f"`{id_col}`").alias("k"), F.col(f"`{text_col}`").alias("text")).join(picked, "k").select("label", "text")
-    rows = texts.mapInArrow(_features, "label int, x array<double>").collect()
+    rows = small_batches(texts).mapInArrow(tidy(_features), "label int, x array<double>").collect()
     y = np.array([r["label"] == 1 for r in rows], float)
     if not len(y) or y.min() == y.max():
         return START.copy()
@@ -155,7 +156,7 @@ def judge(docs: DataFrame, weights: np.ndarray, id_col: str = "doc_id", text_col
     """(id, host, path, text_quality, site_quality, quality, kept) for every row."""
     rows = narrow(docs, id=id_col, host=host_col, path=path_col, text=text_col)
     kinds = {f.name: f.dataType.simpleString() for f in rows.schema.fields}
-    evidence = stored(rows.mapInArrow(_evidence(weights), f"id {kinds['id']}, host {kinds['host']}, path {kinds['path']}, p double"), "quality-evidence")
+    evidence = stored(small_batches(rows).mapInArrow(tidy(_evidence(weights)), f"id {kinds['id']}, host {kinds['host']}, path {kinds['path']}, p double"), "quality-evidence")
     sites, rate = site_posteriors(evidence)
     sites = sites.withColumnsRenamed({"host": "sh", "path": "sp"})
     joined = evidence.join(sites, F.col("host").eqNullSafe(F.col("sh")) & F.col("path").eqNullSafe(F.col("sp")))

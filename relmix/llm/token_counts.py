@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relmix.llm.columns import narrow, small_batches, text_or_empty
+from relmix.llm.workers import tidy
 from relmix.session import scratch, stored
 
 OPTIONS = b"plain text, no added tokens, v1"
@@ -91,7 +92,7 @@ class TokenCountCache:
             one = one.join(self.rows(), "digest", "left_anti")
         one = one.withColumnRenamed("digest", "d").withColumnRenamed("id", "i")
         misses = digested.join(one, (F.col("digest") == F.col("d")) & F.col("id").eqNullSafe(F.col("i"))).select("digest", "text")
-        counts = small_batches(misses).mapInArrow(_count(self.tokenizer_path), "digest binary, n_tokens bigint")
+        counts = small_batches(misses).mapInArrow(tidy(_count(self.tokenizer_path)), "digest binary, n_tokens bigint")
         # rows that repeat a missed (id, text) were each counted: the cache gets one count for each digest
         counts.groupBy("digest").agg(F.first("n_tokens").alias("n_tokens")).write.mode("append").parquet(self.path)
         return keys.join(self.rows(), "digest").select("id", "n_bytes", "n_tokens")

@@ -34,7 +34,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from relmix.llm.columns import replaced
+from relmix.llm.columns import replaced, small_batches
+from relmix.llm.workers import tidy
 from relmix.session import stored
 
 MAX_LABELLED = 20_000
@@ -245,18 +246,18 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     # about ``most`` rows of 16 bytes: a bounded broadcast
     picked = F.broadcast(marks.filter(F.pmod(F.xxhash64("k", F.lit(3)), F.lit(1_000_000)) < int(share * 1_000_000) + 1))
     texts = docs.select(F.col(f"`{id_col}`").alias("k"), F.col(f"`{text_col}`").alias("text")).join(picked, "k").select("toxic", "text")
-    texts = stored(texts, "toxic-sample")
+    texts = stored(small_batches(texts), "toxic-sample")
     sizes = {r["toxic"]: r["count"] for r in texts.groupBy("toxic").count().collect()}
     bad, good = sizes.get(1, 0), sum(sizes.values()) - sizes.get(1, 0)
     model = Model()
     if not bad or not good:
         return model
     least = max(4, bad * 0.004)
-    contexts = texts.filter("toxic = 1").select("text").mapInArrow(_term_rows, "term string, context bigint").distinct()
+    contexts = texts.filter("toxic = 1").select("text").mapInArrow(tidy(_term_rows), "term string, context bigint").distinct()
     # bounded by the sample: a term needs ``least`` distinct contexts
     support = {r["term"]: r["n"] for r in contexts.groupBy("term").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= least).collect()}
     seeds = [*INSULTS, *THREATS]
-    counted = texts.mapInArrow(_document_counts([*support, *seeds]), "term string, toxic int, n bigint").groupBy("term", "toxic").agg(F.sum("n").alias("n")).collect()
+    counted = texts.mapInArrow(tidy(_document_counts([*support, *seeds])), "term string, toxic int, n bigint").groupBy("term", "toxic").agg(F.sum("n").alias("n")).collect()
     by_term: dict[str, list[int]] = {}
     for r in counted:
         by_term.setdefault(r["term"], [0, 0])[int(r["toxic"] == 1)] += r["n"]
@@ -277,7 +278,7 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     model.words = sorted({w for w in INSULTS if not refuted(w)} | {c for c in chosen if c[-1] != "*" and c not in THREATS})
     model.stems = sorted(c[:-1] for c in chosen if c[-1] == "*")
     model.threats = [w for w in THREATS if not refuted(w)]
-    grid = texts.select("toxic", "text").mapInArrow(_pattern_counts(model), "toxic int, counts array<int>").groupBy("toxic", "counts").count().collect()
+    grid = texts.select("toxic", "text").mapInArrow(tidy(_pattern_counts(model)), "toxic int, counts array<int>").groupBy("toxic", "counts").count().collect()
     x = np.array([[1, *r["counts"]] for r in grid], float)
     y = np.array([r["toxic"] == 1 for r in grid], float)
     n = np.array([r["count"] for r in grid], float)
@@ -319,7 +320,7 @@ def score(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
 
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in kept.schema.fields])
     schema = schema.add("toxicity", "double").add("toxic_clauses", T.ArrayType(T.StructType().add("begin", "integer").add("end", "integer").add("kind", "string")))
-    return kept.mapInArrow(run, schema)
+    return small_batches(kept).mapInArrow(tidy(run), schema)
 
 
 def held_out(id_col: str = "doc_id"):
