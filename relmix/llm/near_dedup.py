@@ -40,8 +40,8 @@ from relmix.session import stored
 HASHES, BANDS, ROWS, BITS = 128, 25, 5, 4
 CELLS = 64 // BITS
 MARGIN = 0.15
-BUCKET_BLOCK = 1024  # members of a bucket in one block
-SHINGLE_BLOCK = 200_000  # shingles of a component in one block
+BUCKET_BLOCK = 512  # members of a bucket in one block
+SHINGLE_BLOCK = 65_536  # shingles of a component in one block
 
 _RNG = np.random.default_rng(977)
 _MUL = _RNG.integers(1, 2**63, HASHES, dtype=np.uint64) * np.uint64(2) + np.uint64(1)

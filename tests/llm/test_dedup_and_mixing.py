@@ -144,4 +144,6 @@ def test_mix_edges(spark):
     odd = spark.createDataFrame([(1, "a b", "s", 9), (1, "a b", "s", 9)], "doc_id bigint, text string, source string, size int")
     mixed = mixing.mix(odd)
     assert {(r.size, r.source_size, r.copies) for r in mixed.collect()} == {(2, 4, 1)}
+    clash = spark.createDataFrame([(1, "a b", "s", 1, 2, "x")], "doc_id bigint, text string, source string, whole int, bin int, src string")
+    assert [(r.whole, r.bin, r.src, r.copies) for r in mixing.mix(clash).collect()] == [(1, 2, "x", 1)]
     assert mixing.repeated(frame(spark, [doc(1, "a b")])).columns == ["doc_id", "text", "lang", "source", "n_chars"]
