@@ -34,9 +34,21 @@ def shared_dir(spark: SparkSession) -> str:
     return named.rstrip("/")
 
 
+_MADE: list[str] = []
+
+
 def scratch(spark: SparkSession, label: str) -> str:
     """A fresh path in the shared folder."""
-    return f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}"
+    _MADE.append(f"{shared_dir(spark)}/{label}-{uuid.uuid4().hex}")
+    return _MADE[-1]
+
+
+def release(spark: SparkSession) -> int:
+    """Delete every intermediate table this process has made; frames that read them are no longer usable."""
+    n = len(_MADE)
+    while _MADE:
+        remove(spark, _MADE.pop())
+    return n
 
 
 def stored(df: DataFrame, label: str) -> DataFrame:
