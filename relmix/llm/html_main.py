@@ -95,8 +95,9 @@ def parse(page: str) -> Node:
     root = Node("html", frozenset(), False, None)
     node, at, in_link, end = root, 0, 0, len(page)
     in_head = False
+    last_close = page.rfind(">")  # no tag begins beyond it
     while at < end:
-        tag = _TAG.search(page, at)
+        tag = _TAG.search(page, at) if at <= last_close else None
         text = page[at : tag.start()] if tag else page[at:]
         if text and not in_head:
             node.parts.append(text)

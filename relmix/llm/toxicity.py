@@ -151,7 +151,8 @@ class Matcher:
             first = last - size + 1
             if first < done or (first and low[first - 1].isalnum()):
                 continue
-            begin = max(low.rfind(c, 0, first) for c in ".!?;\n") + 1
+            # back to the clause before at most, so a long text is read once
+            begin = max(max(low.rfind(c, max(done, 0), first) for c in ".!?;\n") + 1, done)
             stop = _CLAUSE_END.search(low, last + 1)
             end = stop.start() if stop else len(low)
             done = end
