@@ -6,16 +6,17 @@ import numpy as np
 from pyspark.sql import functions as F
 
 from relmix.catalogue import emsql
-from relmix.catalogue.common import CUSTOMERS, FIXED, FIXED_PARAMS, START_1D, START_1D_PARAMS, customers, fixed_view, planted_start, r, table
-from relmix.catalogue.models import _frame_1d
+from relmix.catalogue.common import CUSTOMERS, FIXED, FIXED_PARAMS, RFM_REG, START_1D_PARAMS, customers, fixed_view, planted_start, r, table
+from relmix.catalogue.models import MLR_PARAMS, MLR_START, MOE_PARAMS, MOE_START, _frame_1d, money
 from relmix.evaluate import clustering as C
 from relmix.evaluate.meter import model_gap
+from relmix.maintain import regression as reg
 from relmix.maintain import select as S
 from relmix.maintain.stats import stats_of
 from relmix.maintain.table import MaintainedTable, preferred
 from relmix.maintain.update import parallel_sweep, sweep
 from relmix.models.em import fit
-from relmix.models.families import Gaussian, gaussian1d
+from relmix.models.families import ExpertMixture, Gaussian, LinearMixture, gaussian1d
 from relmix.models.init import init_quantile, init_spread, init_uniform
 from relmix.session import scratch
 from relmix.view.model_view import ModelView, information_criteria
@@ -327,6 +328,23 @@ def refresh_policy(spark, d):
     return spark.createDataFrame(rows, "n int, budget int, mode string")
 
 
+@query("regression_stats", emsql.regression(RFM_REG, MLR_START, 1, False) + "\nSELECT comp, round(w, 6) + 0.0 AS w, round(b0, 6) + 0.0 AS b0, round(b1, 6) + 0.0 AS b1, round(v, 6) + 0.0 AS v FROM m1")
+def regression_stats(spark, d):
+    """Parameters from the statistics of nine tenths of the rows plus those of the inserted rest."""
+    x, family = money(spark, d), LinearMixture(1)
+    stats = reg.stats_of(x.filter("tid % 10 <> 3"), family, MLR_PARAMS) + reg.stats_of(x.filter("tid % 10 = 3"), family, MLR_PARAMS)
+    p = stats.params(family, MLR_PARAMS)
+    df = spark.createDataFrame([(k + 1, float(p["weight"][k]), *map(float, p["beta"][k]), float(p["var"][k])) for k in range(2)], "comp int, w double, b0 double, b1 double, v double")
+    return df.select("comp", *[r(n).alias(n) for n in df.columns[1:]])
+
+
+@query("expert_stats", emsql.regression(RFM_REG, MOE_START, 1, True) + "\nSELECT comp, " + ", ".join(f"round({n}, 5) + 0.0 AS {n}" for n in ("g0", "g1", "b0", "b1", "v")) + " FROM m1")
+def expert_stats(spark, d):
+    p = reg.stats_of(money(spark, d), ExpertMixture(1), MOE_PARAMS).params(ExpertMixture(1), MOE_PARAMS)
+    df = spark.createDataFrame([(k + 1, *map(float, p["theta"][k]), *map(float, p["beta"][k]), float(p["var"][k])) for k in range(2)], "comp int, g0 double, g1 double, b0 double, b1 double, v double")
+    return df.select("comp", *[r(n, 5).alias(n) for n in df.columns[1:]])
+
+
 @query("initialisers")
 def initialisers(spark, d):
     """Likelihood after three rounds from each way to start."""
@@ -334,5 +352,3 @@ def initialisers(spark, d):
     starts = {"uniform": init_uniform(x, family, 10, 1), "quantile": init_quantile(x, family, 10), "spread": init_spread(x, family, 10, 1), "near truth": planted_start()[1]}
     return spark.createDataFrame([(k, float(np.round(fit(x, family, p, 3).trace[-1][1], 3))) for k, p in starts.items()], "start string, loglik double")
 
-
-_ = START_1D

@@ -407,3 +407,22 @@ def experiment_deletion(spark, d):
     from relmix.workloads import planted
 
     return sweeps.deletion(spark, planted.two(spark, d), [10, 50])
+
+
+@query("experiment_convergence")
+def experiment_convergence(spark, d):
+    return sweeps.convergence(spark, rfm.scaled(rfm.orders(spark, d)), rounds=6)
+
+
+@query("experiment_segments", "SELECT count(DISTINCT o_custkey) AS customers FROM orders")
+def experiment_segments(spark, d):
+    """Every customer gets one segment from each of the three models."""
+    parts = [rfm.segment(spark, d, f, rounds=3).select("tid", F.lit(f).alias("model"), "comp") for f in ("gaussian", "linear", "expert")]
+    whole = parts[0].unionByName(parts[1]).unionByName(parts[2])
+    once = whole.groupBy("tid").agg(F.countDistinct("model").alias("m"), F.count(F.lit(1)).alias("n")).filter("m = 3 AND n = 3")
+    return once.agg(F.count(F.lit(1)).alias("customers"))
+
+
+@query("experiment_intermediate_rows", "SELECT p.plan AS plan, p.k * (SELECT count(*) FROM customer) AS intermediate_rows FROM (VALUES ('relational', 3), ('coordinate', 3), ('fused', 0), ('arrow', 0)) p(plan, k)")
+def experiment_intermediate_rows(spark, d):
+    return sweeps.intermediate_rows(spark, customers(spark, d), 3)

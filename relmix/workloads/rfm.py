@@ -35,3 +35,29 @@ def gaussian_rows(df: DataFrame) -> DataFrame:
 def regression_rows(df: DataFrame) -> DataFrame:
     """Features R and F, target M."""
     return df.select("tid", F.col("r").alias("x0"), F.col("f").alias("x1"), F.col("m").alias("y"))
+
+
+def segment(spark: SparkSession, sf_dir: str, family: str = "gaussian", k: int = 4, rounds: int = 15, seed: int = 1) -> DataFrame:
+    """(tid, r, f, m, comp): customers with the segment that a fitted model gives them."""
+    import numpy as np
+
+    from relmix.models.em import fit
+    from relmix.models.families import ExpertMixture, Gaussian, LinearMixture
+    from relmix.models.init import init_spread
+    from relmix.session import stored
+    from relmix.view.model_view import ModelView
+
+    rows = stored(scaled(orders(spark, sf_dir)), "rfm")
+    rng = np.random.default_rng(seed)
+    if family == "gaussian":
+        data, model = gaussian_rows(rows), Gaussian(3, ridge=1e-4)
+        start = init_spread(data, model, k, seed)
+    else:
+        data = regression_rows(rows)
+        start = {"beta": rng.uniform(-1, 1, (k, 3)), "var": np.full(k, 1.0)}
+        if family == "linear":
+            model, start = LinearMixture(2, floor=1e-4), start | {"weight": np.full(k, 1 / k)}
+        else:
+            model, start = ExpertMixture(2, floor=1e-4), start | {"theta": rng.uniform(-0.1, 0.1, (k, 3))}
+    view = ModelView.of(fit(data, model, start, rounds))
+    return rows.join(view.assign(data), "tid")

@@ -99,3 +99,27 @@ def deletion(spark: SparkSession, data: DataFrame, deletes: list[int], budget: i
         whole = fit(table.data(), family, trained.params, 15)
         rows.append((m, budget, t.total_s, model_gap(family, table.params, whole.params)[0]))
     return spark.createDataFrame(rows, "deleted int, budget int, total_s double, gap double")
+
+
+def convergence(spark: SparkSession, rows: DataFrame, k: int = 4, rounds: int = 15, seed: int = 1) -> DataFrame:
+    """(model, round, loglik, delta) of the three families on RFM rows (r, f, m), regressions of m on r and f."""
+    from relmix.workloads import rfm
+
+    rng = np.random.default_rng(seed)
+    gauss, reg = rfm.gaussian_rows(rows), rfm.regression_rows(rows)
+    beta, var = rng.uniform(-1, 1, (k, 3)), np.full(k, 1.0)
+    runs = {
+        "gaussian": (gauss, Gaussian(3, ridge=1e-6), {"weight": np.full(k, 1 / k), "mu": rng.uniform(-1, 1, (k, 3)), "sigma": np.repeat(np.eye(3)[None], k, 0)}),
+        "linear": (reg, LinearMixture(2, floor=1e-4), {"weight": np.full(k, 1 / k), "beta": beta, "var": var}),
+        "expert": (reg, ExpertMixture(2, floor=1e-4), {"theta": rng.uniform(-0.1, 0.1, (k, 3)), "beta": beta, "var": var}),
+    }
+    out = []
+    for name, (data, family, start) in runs.items():
+        out += [(name, n, loglik, delta) for n, loglik, delta, _ in fit(data, family, start, rounds).trace]
+    return spark.createDataFrame(out, "model string, round int, loglik double, delta double")
+
+
+def intermediate_rows(spark: SparkSession, data: DataFrame, k: int) -> DataFrame:
+    """Rows that a round's plans put through a shuffle or a join: n * K responsibilities (relational) or none (fused)."""
+    n = data.count()
+    return spark.createDataFrame([("relational", n * k), ("coordinate", n * k), ("fused", 0), ("arrow", 0)], "plan string, intermediate_rows bigint")

@@ -129,6 +129,29 @@ def test_strategies_and_late_statistics(spark, tmp_path, data, trained):
     assert zero.insert(data.filter("tid >= 2990")).budget == 0
 
 
+@pytest.mark.parametrize("kind", ["linear", "expert"])
+def test_regression_families_are_maintained_too(spark, kind):
+    from relmix.maintain import regression as R
+    from relmix.models.families import ExpertMixture, LinearMixture
+
+    rng = np.random.default_rng(4)
+    x = rng.uniform(-1, 1, 400)
+    y = np.where(np.arange(400) % 2 == 0, 2 * x + 1, -x - 1) + rng.normal(0, 0.1, 400)
+    rows = spark.createDataFrame([(i, float(a), float(b)) for i, (a, b) in enumerate(zip(x, y, strict=True))], "tid bigint, x0 double, y double").cache()
+    start = {"beta": np.array([[1.0, 0.5], [-0.5, -0.5]]), "var": np.array([0.5, 0.5])}
+    family = LinearMixture(1) if kind == "linear" else ExpertMixture(1)
+    start |= {"weight": np.array([0.5, 0.5])} if kind == "linear" else {"theta": np.array([[0.1, 0.0], [-0.1, 0.0]])}
+    stats = R.stats_of(rows, family, start)
+    assert close(stats.params(family, start), fit(rows, family, start, 1).params, 1e-8)
+    matrix = np.column_stack([x, y])
+    _, got = R.sweep(stats, matrix, family, start, 2, None, len(matrix))
+    assert close(got, fit(rows, family, start, 3).params, 1e-7)
+    part = R.stats_of(rows.filter("tid < 100"), family, start) + R.stats_of(rows.filter("tid >= 100"), family, start)
+    assert np.allclose(part.s2, stats.s2) and np.allclose((part - part).s0, 0)
+    _, moved = R.sweep(stats, matrix[:50], family, start, 1)
+    assert np.isfinite(moved["beta"]).all()
+
+
 def test_policy():
     assert preferred(1e6, 10, 1000, 3, 15) == "incremental" and preferred(1e3, 10, 10**6, 3, 15) == "batch"
 
