@@ -1,5 +1,4 @@
 import duckdb
-import pandas as pd
 import pytest
 
 from relmix import catalogue
@@ -40,4 +39,3 @@ def test_hybrid_round_and_modes_report_costs(spark, sf):
     rows = {r.plan: r for r in sweeps.hybrid_round(spark, sf, 500, 2, 3).collect()}
     assert rows["hybrid"].jobs > rows["fused"].jobs
     assert len({round(r.loglik, 5) for r in rows.values()}) == 1
-    assert isinstance(pd.DataFrame(), pd.DataFrame)
