@@ -299,7 +299,7 @@ def encode_payloads(payloads: list[bytes]) -> list[bytes]:
             stop += 1
         frames, own = data[at:stop], sizes[at:stop].tolist()
         info = BLOCK.to_bytes(2, "big") * 2 + min(own).to_bytes(3, "big") + max(own).to_bytes(3, "big")
-        info += (RATE << 44 | 0 << 41 | 7 << 36 | len(p)).to_bytes(8, "big") + hashlib.md5(np.frombuffer(p, np.uint8).astype(np.int16).__sub__(128).astype(np.int8).tobytes()).digest()
+        info += (RATE << 44 | 0 << 41 | 7 << 36 | len(p)).to_bytes(8, "big") + hashlib.md5((np.frombuffer(p, np.uint8) ^ 0x80).tobytes()).digest()
         seek, offset = [], 0
         for number, n in enumerate(own):
             seek.append((number * BLOCK).to_bytes(8, "big") + offset.to_bytes(8, "big") + lengths[at + number].to_bytes(2, "big"))
@@ -520,20 +520,21 @@ def decode_files(files: list[bytes | None]) -> list[tuple[bytes | None, list[tup
         if starts is None:
             result[i] = _decode_serially(files[i], at, info[i])
     ready = [(i, at, starts) for i, at, starts in todo if starts is not None]
+    frames: dict[int, list] = {i: [] for i, _, _ in ready}
     for group in _by_bytes(ready, files):
         raw, begins, blocks, owner = [], [], [], []
         base = 0
-        for i, first, stop, frames in group:
+        for i, first, stop, starts in group:
             raw.append(files[i][first:stop])
-            begins += [base + s - first for s in frames]
-            blocks += [info[i][0]] * len(frames)
-            owner += [(i, s) for s in frames]
+            begins += [base + s - first for s in starts]
+            blocks += [info[i][0]] * len(starts)
+            owner += [(i, s) for s in starts]
             base += stop - first
         samples, _, numbers = decode_frames(b"".join(raw), begins, blocks)
         for (i, s), x, number in zip(owner, samples, numbers, strict=True):
-            result[i] = ((result[i][0] or []) + [(number, s, x)], []) if not isinstance(result[i][0], list) else (result[i][0].append((number, s, x)) or result[i][0], [])
-    for i, _, _ in ready:
-        result[i] = _joined(result[i][0] or [], info[i])
+            frames[i].append((number, s, x))
+    for i, found in frames.items():
+        result[i] = _joined(found, info[i])
     return result
 
 

@@ -146,9 +146,8 @@ def parse(page: str) -> Node:
             continue
         if name in CLOSES_P:
             up = node
-            while up is not root and up.tag in ("p", "h1", "h2", "h3", "h4", "h5", "h6") and (up.tag == "p"):
-                up = up.parent
-                node = up
+            while up is not root and up.tag == "p":
+                up = node = up.parent
         if name in ("li", "dt", "dd", "tr", "td", "th", "option"):
             alike = {"li": ("li",), "dt": ("dt", "dd"), "dd": ("dt", "dd"), "tr": ("tr", "td", "th"), "td": ("td", "th"), "th": ("td", "th"), "option": ("option",)}[name]
             up = node
@@ -333,22 +332,20 @@ def text_of(nodes: list[Node], show: np.ndarray) -> str:
     """Blocks in page order joined by one blank, white space inside a block joined."""
     blocks: list[str] = []
 
-    stack: list = [(nodes[0], 0, [])]
+    stack = [(nodes[0], 0)]
     while stack:
-        node, at, open_text = stack.pop()
-        parts = node.parts
+        node, at = stack.pop()
+        parts, open_text = node.parts, []
         while at < len(parts) and isinstance(parts[at], str):
             open_text.append(parts[at])
             at += 1
-        if open_text and (at >= len(parts) or True):
-            if show[node.index]:
-                flat = " ".join(html_lib.unescape("".join(open_text)).split())
-                if flat:
-                    blocks.append(flat)
-            open_text = []
+        if open_text and show[node.index]:
+            flat = " ".join(html_lib.unescape("".join(open_text)).split())
+            if flat:
+                blocks.append(flat)
         if at < len(parts):
-            stack.append((node, at + 1, []))
-            stack.append((parts[at], 0, []))
+            stack.append((node, at + 1))
+            stack.append((parts[at], 0))
     return " ".join(blocks)
 
 

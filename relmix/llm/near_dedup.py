@@ -19,7 +19,8 @@ A link of similarity s is missed only if all bands differ: (1 - s**5)**25, which
 
 Defined cases: null or blank text has an empty set and no link; a null id is in no component
 (component_id null, not kept); the id is a key: rows that repeat it are one node; an empty table
-gives an empty result; similarity is compared in integers (den * common >= num * union).
+gives an empty result; similarity is compared in integers (den * common >= num * union). Ids are
+integers; an id that is none counts as null.
 """
 
 from __future__ import annotations
@@ -238,10 +239,7 @@ def _block_pairs(rows: DataFrame, key: str, blocks: str, *rest: str) -> DataFram
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
-    """(id, n_shingles, component_id, kept) for every row; links have den * common >= num * union.
-
-    The link of similarity num / den and above is tested as (den) * common >= num * union.
-    """
+    """(id, n_shingles, component_id, kept) for every row; links have den * common >= num * union."""
     texts = narrow(docs, id=id_col, text=text_col).select(F.col("id").cast("bigint").alias("id"), "text")
     rows = stored(small_batches(texts).mapInArrow(tidy(_features(width)), FEATURES), "near-features")
     usable = rows.filter("n_sh > 0 AND id IS NOT NULL")
