@@ -314,8 +314,8 @@ def incremental_parallel(spark, d):
     from relmix.maintain.update import collected
 
     x, family = _two(spark, d), Gaussian(1)
-    staged = x.filter("tid % 50 = 1")
     base = fit(x, family, _TWO_PARAMS, 5).params
+    staged = S.select_entropy(x, ModelView(family, base), budget=1000)
     stats = stats_of(x, family, base)
     _, one = sweep(stats, collected(staged, family), family, base, 2, 0, 64)
     _, many = parallel_sweep(stats, staged, family, base, 2)

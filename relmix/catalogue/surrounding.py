@@ -76,9 +76,9 @@ def json_props(spark, d):
     return e.select("event_id", F.length("props").cast("long").alias("n"), (F.col("parsed").isNotNull() & F.col("props").startswith("{")).alias("is_object"))
 
 
-@query("string_norm", "SELECT doc_id, trim(regexp_replace(lower(substr(text, 1, 200)), '[^a-z]+', ' ', 'g')) AS head FROM documents")
+@query("string_norm", "SELECT doc_id, md5(trim(regexp_replace(lower(text), '[^a-z]+', ' ', 'g'))) AS norm_md5 FROM documents")
 def string_norm(spark, d):
-    return table(spark, d, "documents").select("doc_id", F.trim(F.regexp_replace(F.lower(F.substring("text", 1, 200)), "[^a-z]+", " ")).alias("head"))
+    return table(spark, d, "documents").select("doc_id", F.md5(F.trim(F.regexp_replace(F.lower("text"), "[^a-z]+", " "))).alias("norm_md5"))
 
 
 @query("text_size_quality", "SELECT quality, count(*) AS n, round(avg(ln(d.n_chars)), 6) AS mean_ln FROM documents d JOIN labels l USING (doc_id) WHERE d.n_chars > 0 GROUP BY quality")
@@ -141,10 +141,10 @@ def join_asof_keyed(spark, d):
     return J.asof_model(e.select("event_id", "user_id", "ts"), buys.select("user_id", "bought"), "ts", "bought", ["user_id"]).select("event_id", F.col("bought").alias("last_purchase"))
 
 
-@query("join_interval_events", "SELECT a.event_id AS a_id, count(*) AS n FROM events a JOIN events b ON b.ts BETWEEN a.ts - INTERVAL 600 SECOND AND a.ts + INTERVAL 300 SECOND WHERE a.event_type = 'purchase' AND a.user_id % 5 = 0 AND b.event_type = 'click' GROUP BY a.event_id")
+@query("join_interval_events", "SELECT a.event_id AS a_id, count(*) AS n FROM events a JOIN events b ON b.ts BETWEEN a.ts - INTERVAL 600 SECOND AND a.ts + INTERVAL 300 SECOND WHERE a.event_type = 'purchase' AND b.event_type = 'click' GROUP BY a.event_id")
 def join_interval_events(spark, d):
     e = table(spark, d, "events")
-    a = e.filter("event_type = 'purchase' AND user_id % 5 = 0").select(F.col("event_id").alias("a_id"), F.col("ts").alias("a_ts"))
+    a = e.filter("event_type = 'purchase'").select(F.col("event_id").alias("a_id"), F.col("ts").alias("a_ts"))
     b = e.filter("event_type = 'click'").select(F.col("ts").alias("b_ts"))
     return J.interval_join(a, b, "a_ts", "b_ts", 600, 300).groupBy("a_id").agg(F.count(F.lit(1)).alias("n"))
 
@@ -201,10 +201,11 @@ def window_rank_components(spark, d):
     return R.rank_components(_post(spark, d)).select("tid", "comp", "rank")
 
 
-@query("window_running_loglik", _POST + " SELECT tid, round(sum(lse) OVER (ORDER BY tid), 4) AS running FROM (SELECT DISTINCT tid, lse FROM e0) z WHERE tid <= 50")
+@query("window_running_loglik", _POST + " SELECT tid, round(sum(lse) OVER (PARTITION BY tid % 25 ORDER BY tid), 4) AS running FROM (SELECT DISTINCT tid, lse FROM e0) z")
 def window_running_loglik(spark, d):
-    dense = fixed_view().density(customers(spark, d)).filter("tid <= 50")
-    return dense.select("tid", F.round(F.sum("lse").over(Window.orderBy("tid")), 4).alias("running"))
+    """Running likelihood in 25 lanes: a single lane would put all rows into one task."""
+    dense = fixed_view().density(customers(spark, d))
+    return dense.select("tid", F.round(F.sum("lse").over(Window.partitionBy(F.col("tid") % 25).orderBy("tid")), 4).alias("running"))
 
 
 @query("window_moving_avg", "SELECT o_orderkey, round(avg(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 4) AS ma, lag(o_orderkey) OVER (PARTITION BY o_custkey ORDER BY o_orderkey) AS before FROM orders")
@@ -220,13 +221,14 @@ def topk_per_component(spark, d):
 
 # set operations --------------------------------------------------------------------------
 
-_A = _ASSIGNED.replace(", s AS", ", s_ AS") + ", a AS (SELECT tid % 40 AS t, comp FROM k WHERE tid < 600), b AS (SELECT tid % 40 AS t, comp FROM k WHERE tid >= 600 AND tid < 700)"
+_A = _ASSIGNED + ", a AS (SELECT n_regionkey AS t, comp, c_acctbal > 0 AS rich FROM s WHERE c_mktsegment = 'BUILDING'), b AS (SELECT n_regionkey AS t, comp, c_acctbal > 0 AS rich FROM s WHERE c_mktsegment = 'MACHINERY' AND c_acctbal > 4000)"
 
 
 def _sets(spark, d):
-    k = fixed_view().assign(customers(spark, d))
-    cut = lambda c: k.filter(c).select((F.col("tid") % 40).alias("t"), "comp")
-    return cut("tid < 600"), cut("tid >= 600 AND tid < 700")
+    """Region, component and sign of the balance: of one segment, and of another's customers with much money."""
+    s = _assigned(spark, d)
+    cut = lambda c: s.filter(c).select(F.col("n_regionkey").alias("t"), "comp", (F.col("c_acctbal") > 0).alias("rich"))
+    return cut("c_mktsegment = 'BUILDING'"), cut("c_mktsegment = 'MACHINERY' AND c_acctbal > 4000")
 
 
 @query("set_union", _A + " SELECT * FROM a UNION SELECT * FROM b")
@@ -386,7 +388,7 @@ def experiment_loop_modes(spark, d):
 
 @query("experiment_hybrid_round")
 def experiment_hybrid_round(spark, d):
-    return sweeps.hybrid_round(spark, d, 2000, 4, 4)
+    return sweeps.hybrid_round(spark, d, 10_000, 10, 3)
 
 
 @query("experiment_scalability")
