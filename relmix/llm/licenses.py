@@ -1,13 +1,16 @@
 """Licence scans by sentence rules, on DataFrame functions only.
 
-Texts are cut into sentences (at line ends, and at stops that white space follows), sentences are
-normalised (lower case, signs to blanks, blanks joined) and equi-joined with a table of known licence
-sentences; only the few that match go on. Per document the matched identifiers in order are compared
-with licence rules: a rule is a sequence of identifiers that must occur in this order, with nothing
-but other licence sentences between. A longer rule wins over the rules it contains.
+Texts are normalised (lower case, signs to blanks, blanks joined) and keep a mark wherever a sentence
+may begin or end: at line ends, brackets, ``;``, and stops that white space follows. A known licence
+sentence is found where its words stand between two marks, whatever marks are among them, so it may be
+wrapped over lines (with comment signs before each) or hold a ``;`` or ``v. 2``; lines without a letter
+or digit end every sentence. Per document the matched identifiers in order are compared with licence
+rules: a rule is a sequence of identifiers that must occur in this order, with nothing but other
+licence sentences between. A longer rule wins over the rules it contains.
 
 The rule tables are constants of this module (under a hundred rows), so broadcasting them has a
-proven bound. Documents without a known sentence never leave the scan stage.
+proven bound. Documents without a word of every known sentence's choice (``ANCHORS``) are not
+normalised, and those without a known sentence never leave the scan stage.
 
 Defined cases: null, empty and licence-free texts give no rows;
 repeated sentences keep every position; a null id forms one group of its
@@ -16,6 +19,9 @@ own in the sequence step, so ids should be present; repeated ids are one documen
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import or_
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -92,25 +98,34 @@ RULES = [
 ]
 
 
-def sentences(text: Column) -> Column:
-    """Normalised sentences in order; blanks where a sentence had no letter or digit."""
-    return F.split(text, r"[\n\r;]+|[.!?:]+(?=\s|$)")
+#: Every known sentence has one of these parts of words; a word is never cut by a line's end.
+ANCHORS = ("licen", "software", "warrant", "redistrib", "reserved", "mpl")
+#: Marks are capitals, which lowered text does not have: S may be inside a sentence, H may not.
+KNOWN = "(?<=[SH] )(?:" + "|".join(" (?:S )*+".join(norm.split()) for norm in SENTENCES.values()) + ")(?= [SH] )"
 
 
-def normalised(sentence: Column) -> Column:
-    return F.trim(F.regexp_replace(F.lower(sentence), r"[^a-z0-9]+", " "))
+def marked(text: Column) -> Column:
+    """Normalised words and the marks S and H, each between single blanks."""
+    text = F.regexp_replace(F.lower(text), r"\r\n?", "\n")
+    text = F.regexp_replace(text, r"(?m)^[^a-z0-9\n]*(?:dnl|rem)(?=\s)|(?<=http)s(?=:)", "")
+    text = F.regexp_replace(text, r"\n[^a-z0-9\n]*(?=\n)", " H ")
+    text = F.regexp_replace(text, r"[\n;()]|[.!?:]+(?=\s|$)", " S ")
+    return F.concat(F.lit("S "), F.trim(F.regexp_replace(text, "[^a-z0-9SH]+", " ")), F.lit(" S "))
 
 
 def license_hits(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(id, pos, sid): every known sentence with its ordinal among the document's sentences."""
+    """(id, pos, sid): every known sentence with the number of marks before it."""
     spark = docs.sparkSession
     known = F.broadcast(spark.createDataFrame([(k, v) for k, v in SENTENCES.items()], "sid string, norm string"))
     rows = narrow(docs, id=id_col, text=text_col)
-    cut = rows.select("id", F.posexplode(sentences(F.col("text"))).alias("pos", "raw"))
-    # a raw sentence shorter than the shortest rule cannot match; cheaper than normalising it
-    shortest = min(map(len, SENTENCES.values()))
-    normal = cut.filter(F.length("raw") >= shortest).withColumn("norm", normalised(F.col("raw")))
-    return normal.join(known, "norm").select("id", "pos", "sid")
+    low = F.lower("text")
+    near = rows.filter(reduce(or_, [F.contains(low, F.lit(word)) for word in ANCHORS]))
+    line = near.select("id", marked(F.col("text")).alias("line"))
+    cut = line.select("id", F.split("line", KNOWN, -1).alias("gaps"), F.regexp_extract_all("line", F.lit(KNOWN), F.lit(0)).alias("found"))
+    marks = lambda s: F.length(s) - F.length(F.translate(s, "SH", ""))
+    upto = lambda i: marks(F.concat(F.array_join(F.slice("gaps", 1, i + 1), ""), F.array_join(F.slice("found", 1, i), "")))
+    hits = cut.filter(F.size("found") > 0).select("id", "gaps", "found", F.posexplode("found").alias("nth", "raw"))
+    return hits.select("id", upto(F.col("nth")).alias("pos"), F.replace("raw", F.lit("S "), F.lit("")).alias("norm")).join(known, "norm").select("id", "pos", "sid")
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:

@@ -241,3 +241,85 @@ def test_quality_shrinks_sparse_sites(spark):
 def test_hash_is_not_needed_for_equal_media():
     a, b = flac.encode_payloads([flac.payload_of(b"same"), flac.payload_of(b"same")])
     assert hashlib.sha256(a).digest() == hashlib.sha256(b).digest()
+
+
+NOTICES = {
+    "MIT": """Permission is hereby granted, free of charge, to any person obtaining a copy
+of this software and associated documentation files (the "Software"), to deal
+in the Software without restriction, including without limitation the rights
+to use, copy, modify, merge, publish, distribute, sublicense, and/or sell
+copies of the Software, and to permit persons to whom the Software is
+furnished to do so, subject to the following conditions:
+
+The above copyright notice and this permission notice shall be included in all
+copies or substantial portions of the Software.
+
+THE SOFTWARE IS PROVIDED "AS IS", WITHOUT WARRANTY OF ANY KIND, EXPRESS OR
+IMPLIED, INCLUDING BUT NOT LIMITED TO THE WARRANTIES OF MERCHANTABILITY,
+FITNESS FOR A PARTICULAR PURPOSE AND NONINFRINGEMENT. IN NO EVENT SHALL THE
+AUTHORS OR COPYRIGHT HOLDERS BE LIABLE FOR ANY CLAIM.""",
+    "Apache-2.0": """Licensed under the Apache License, Version 2.0 (the "License");
+you may not use this file except in compliance with the License.
+You may obtain a copy of the License at
+
+    http://www.apache.org/licenses/LICENSE-2.0
+
+Unless required by applicable law or agreed to in writing, software
+distributed under the License is distributed on an "AS IS" BASIS,
+WITHOUT WARRANTIES OR CONDITIONS OF ANY KIND, either express or implied.
+See the License for the specific language governing permissions and
+limitations under the License.""",
+    "GPL-3.0-or-later": """This program is free software: you can redistribute it and/or modify
+it under the terms of the GNU General Public License as published by
+the Free Software Foundation, either version 3 of the License, or
+(at your option) any later version.
+
+This program is distributed in the hope that it will be useful,
+but WITHOUT ANY WARRANTY; without even the implied warranty of
+MERCHANTABILITY or FITNESS FOR A PARTICULAR PURPOSE.  See the
+GNU General Public License for more details.""",
+    "MPL-2.0": """This Source Code Form is subject to the terms of the Mozilla Public
+License, v. 2.0. If a copy of the MPL was not distributed with this
+file, You can obtain one at https://mozilla.org/MPL/2.0/.""",
+    "BSD-3-Clause": """Redistribution and use in source and binary forms, with or without
+modification, are permitted provided that the following conditions are met:
+
+1. Redistributions of source code must retain the above copyright notice, this
+   list of conditions and the following disclaimer.
+
+2. Redistributions in binary form must reproduce the above copyright notice,
+   this list of conditions and the following disclaimer in the documentation
+   and/or other materials provided with the distribution.
+
+3. Neither the name of the copyright holder nor the names of its
+   contributors may be used to endorse or promote products derived from
+   this software without specific prior written permission.
+
+THIS SOFTWARE IS PROVIDED BY THE COPYRIGHT HOLDERS AND CONTRIBUTORS "AS IS"
+AND ANY EXPRESS OR IMPLIED WARRANTIES, INCLUDING, BUT NOT LIMITED TO, THE
+IMPLIED WARRANTIES OF MERCHANTABILITY AND FITNESS FOR A PARTICULAR PURPOSE ARE
+DISCLAIMED. IN NO EVENT SHALL THE COPYRIGHT HOLDER BE LIABLE.""",
+    "ISC": """Permission to use, copy, modify, and/or distribute this software for any
+purpose with or without fee is hereby granted, provided that the above
+copyright notice and this permission notice appear in all copies.""",
+}
+NOTICES["GPL-2.0-or-later"] = NOTICES["GPL-3.0-or-later"].replace("software: you", "software; you").replace("version 3", "version 2")
+
+
+def test_licenses_of_wrapped_notices(spark):
+    ways = ["", "# ", " * ", "// ", "dnl ", "REM "]
+    texts = ["int a;\n" + end.join((way + line).rstrip() for line in text.split("\n")) + end + "b = 2" for text in NOTICES.values() for way in ways for end in ("\n", "\r\n")]
+    want = [name for name in NOTICES for _ in range(2 * len(ways))]
+    got = {r.id: (r.licenses, r.n_sentences) for r in licenses.scan(docs(spark, texts)).collect()}
+    n = {"MIT": 3, "Apache-2.0": 4, "BSD-3-Clause": 5, "ISC": 1}
+    assert got == {i: ([name], n.get(name, 2)) for i, name in enumerate(want)}
+
+
+def test_licenses_known_sentences_are_reachable_and_kept_apart(spark):
+    assert all(any(a in s for a in licenses.ANCHORS) for s in licenses.SENTENCES.values())
+    assert not any(f" {a} " in f" {b} " for a in licenses.SENTENCES.values() for b in licenses.SENTENCES.values() if a != b)
+    texts = [s.replace(" ", "\n# ") for s in licenses.SENTENCES.values()]
+    got = {r.id: r.sequence for r in licenses.scan(docs(spark, texts)).collect()}
+    assert got == {i: [sid] for i, sid in enumerate(licenses.SENTENCES)}
+    apart = ["not licensed under the MIT license", "Licensed under\n\nthe MIT license.", "licensed under the MIT license or another"]
+    assert licenses.scan(docs(spark, apart)).collect() == []
