@@ -1,3 +1,4 @@
+import hashlib
 import random
 
 import brute
@@ -147,3 +148,30 @@ def test_mix_edges(spark):
     clash = spark.createDataFrame([(1, "a b", "s", 1, 2, "x")], "doc_id bigint, text string, source string, whole int, bin int, src string")
     assert [(r.whole, r.bin, r.src, r.copies) for r in mixing.mix(clash).collect()] == [(1, 2, "x", 1)]
     assert mixing.repeated(frame(spark, [doc(1, "a b")])).columns == ["doc_id", "text", "lang", "source", "n_chars"]
+
+
+FIRST_BIN = next(i for i in range(5000, 10**6) if hashlib.md5(f"{i}:17".encode()).hexdigest().startswith("000"))
+
+
+def off_target(mixed):
+    taken, target = {}, {}
+    for r in mixed.collect():
+        taken[r.source] = taken.get(r.source, 0) + r.size * r.copies
+        target[r.source] = r.target
+    return {s: abs(taken[s] - target[s]) for s in target}
+
+
+def test_mix_passes_over_a_dominating_document(spark):
+    rows = [doc(i, "w " * 100, "a") for i in range(100)] + [doc(1000 + i, "w " * 10, "b") for i in range(210)]
+    rng = random.Random(1)
+    rows += [doc(2000 + i, "w " * rng.randint(1, 400), "c") for i in range(50)]
+    off = off_target(mixing.mix(frame(spark, [*rows, doc(FIRST_BIN, "w " * 20_000, "a")]), weights=(1, 1, 3)))
+    assert off["a"] <= 50 and off["b"] <= 5 and off["c"] <= 200
+
+
+def test_mix_refines_bins_of_many_documents(spark, monkeypatch):
+    monkeypatch.setattr(mixing, "hash_cell", lambda doc_id, seed: (doc_id % 2 * 4096 + doc_id % 1000).cast("int"))
+    rng = random.Random(2)
+    rows = [doc(i, "w " * rng.randint(1, 9) * (1 + i // 1000 * 3), "ab"[i // 1000]) for i in range(2000)] + [doc(9000, "w " * 20_000, "a")]
+    off = off_target(mixing.mix(frame(spark, rows), weights=(1, 12)))
+    assert off["a"] <= 5 and off["b"] <= 20
