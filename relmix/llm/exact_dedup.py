@@ -6,16 +6,17 @@ shuffle, and the groups are sort-merge anti-joined with the index: groups whose
 dropped as known, the others are appended. Buckets spare the index side of the join its shuffle.
 
 Equality: same SHA-256 of the UTF-8 text after lower-casing A-Z only; null text counts as empty.
-Defined cases: rows with a null id can only be dropped (never the kept one unless all ids of the
-group are null, then keep_id is null and none is kept); rows that repeat id and text are one
-document and are kept or dropped together; an empty table gives an empty result.
+Defined cases: a row with a null id is never the kept one; where all ids of a group are null, keep_id
+is null and no row is marked, but ``surviving`` keeps one row of such a group; rows that repeat id and
+text are one document and are kept or dropped together; rows that repeat an id with other texts are
+judged by their own text; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
 import uuid
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relmix.llm.columns import ascii_lower, narrow, text_or_empty
@@ -55,33 +56,49 @@ class DigestIndex:
 
     def add(self, groups: DataFrame) -> DataFrame:
         """groups: (digest, best). Appends what is new and returns (digest, keep_id, known) for every group."""
-        known = self.rows()
+        known = self.rows().withColumn("known", F.lit(True))
         # written first: else the anti-join is pushed below the aggregate and copies of one text meet in a task
         groups = stored(groups, "dedup-found")
         fresh = groups.hint("merge").join(known, "digest", "left_anti").select("digest", F.col("best").alias("keep_id"))
         dealt = fresh.repartition(self.buckets, "digest").sortWithinPartitions("digest")
-        marked = groups.join(known.hint("merge"), "digest", "left").select("digest", F.coalesce("keep_id", "best").alias("keep_id"), F.col("keep_id").isNotNull().alias("known"), "n")
+        marked = groups.join(known.hint("merge"), "digest", "left").select("digest", F.when(F.col("known"), F.col("keep_id")).otherwise(F.col("best")).alias("keep_id"), F.col("known").isNotNull().alias("known"), "n")
         marked = stored(marked, "dedup-groups")  # before the append changes the index
         dealt.write.format("parquet").bucketBy(self.buckets, "digest").sortBy("digest").mode("append").option("path", f"{self.path}/buckets={self.buckets}").saveAsTable(self.table)
         self.spark.catalog.refreshTable(self.table)
         return marked
 
 
+def stays() -> Column:
+    """The kept id of a text that the index had not; in a group without ids, all rows."""
+    return F.col("id").eqNullSafe(F.col("keep_id")) & ~F.col("known")
+
+
+def judged(docs: DataFrame, index: DigestIndex, id_col: str, text_col: str) -> DataFrame:
+    """(id, digest, keep_id, known, n) for every row; the index learns the new digests."""
+    rows = stored(digests(docs, id_col, text_col), "dedup-digests")
+    groups = index.add(rows.groupBy("digest").agg(F.max("id").alias("best"), F.count(F.lit(1)).alias("n")))
+    return rows.join(groups, "digest")
+
+
 def deduplicate(docs: DataFrame, index: DigestIndex, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, digest, keep_id, group_size, kept) for every row; the index learns the new digests.
 
     Against an index that already has a digest all new rows of it are dropped.
     """
-    rows = stored(digests(docs, id_col, text_col), "dedup-digests")
-    groups = index.add(rows.groupBy("digest").agg(F.max("id").alias("best"), F.count(F.lit(1)).alias("n")))
-    kept = F.col("id").eqNullSafe(F.col("keep_id")) & F.col("id").isNotNull() & ~F.col("known")
-    return rows.join(groups, "digest").select("id", "digest", "keep_id", F.col("n").alias("group_size"), kept.alias("kept"))
+    kept = stays() & F.col("id").isNotNull()
+    return judged(docs, index, id_col, text_col).select("id", "digest", "keep_id", F.col("n").alias("group_size"), kept.alias("kept"))
 
 
 def surviving(docs: DataFrame, index: DigestIndex, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The documents that stay, in the input's columns. Only ids of dropped rows are joined, not texts."""
-    dropped = deduplicate(docs, index, id_col, text_col).filter("NOT kept").select(F.col("id").alias("__gone")).distinct()
-    return docs.join(dropped, F.col(f"`{id_col}`").eqNullSafe(F.col("__gone")), "left_anti")
+    """The documents that stay, in the input's columns. Only ids and digests of dropped rows are joined, not texts."""
+    dropped = stored(judged(docs, index, id_col, text_col).filter(~stays()).select(F.col("id").alias("__gone"), F.col("digest").alias("__gone_digest")).distinct(), "dedup-dropped")
+    named = F.col(f"`{id_col}`")
+    rows = docs.withColumn("__digest", F.unhex(F.sha2(ascii_lower(text_or_empty(text_col)), 256)))
+    same = F.col("__digest") == F.col("__gone_digest")
+    with_id = rows.filter(named.isNotNull()).join(dropped.filter("__gone IS NOT NULL"), (named == F.col("__gone")) & same, "left_anti")
+    # collapsed before the join, so copies of one text do not meet in a task
+    without = rows.filter(named.isNull()).dropDuplicates(["__digest"]).join(dropped.filter("__gone IS NULL"), same, "left_anti")
+    return with_id.unionAll(without).drop("__digest")
 
 
 def new_index(spark: SparkSession) -> DigestIndex:

@@ -175,3 +175,12 @@ def test_mix_refines_bins_of_many_documents(spark, monkeypatch):
     rows = [doc(i, "w " * rng.randint(1, 9) * (1 + i // 1000 * 3), "ab"[i // 1000]) for i in range(2000)] + [doc(9000, "w " * 20_000, "a")]
     off = off_target(mixing.mix(frame(spark, rows), weights=(1, 12)))
     assert off["a"] <= 5 and off["b"] <= 20
+
+
+def test_exact_surviving_keeps_texts_without_id_and_judges_by_text(spark):
+    rows = [doc(1, "q"), doc(None, "Q"), doc(None, "alone"), doc(None, "twice"), doc(None, "TWICE"), doc(None, None), doc(5, "q"), doc(1, "other"), doc(7, "r"), doc(8, "r")]
+    index = exact_dedup.new_index(spark)
+    kept = exact_dedup.surviving(frame(spark, rows), index)
+    assert sorted(((r.doc_id or 0), (r.text or "").lower()) for r in kept.collect()) == [(0, ""), (0, "alone"), (0, "twice"), (1, "other"), (5, "q"), (8, "r")]
+    again = exact_dedup.surviving(frame(spark, [doc(9, "alone"), doc(None, "twice"), doc(None, "new"), doc(10, "last")]), index)
+    assert sorted((r.doc_id or 0, r.text) for r in again.collect()) == [(0, "new"), (10, "last")]
