@@ -39,6 +39,10 @@ from relmix.llm.workers import tidy
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 RAW = {"script", "style", "textarea", "title", "noscript", "template", "iframe", "svg", "math", "object", "xmp", "noembed", "noframes"}
 BLOCKS = {"html", "body", "article", "section", "div", "main", "nav", "header", "footer", "aside", "form", "fieldset", "p", "h1", "h2", "h3", "h4", "h5", "h6", "ul", "ol", "li", "dl", "dt", "dd", "table", "thead", "tbody", "tfoot", "tr", "td", "th", "caption", "blockquote", "pre", "figure", "figcaption", "address", "details", "summary", "dialog", "hgroup", "menu", "search", "center", "button", "select", "option", "label"}
+#: Elements of the head; any other one ends it, as its end tag and <body> do.
+HEAD = {"html", "head", "title", "meta", "link", "base", "style", "script", "noscript", "template"}
+#: Blocks that stand in a line of text.
+IN_LINE = {"button", "select", "option", "label"}
 CLOSES_P = BLOCKS - {"html", "body", "button", "select", "option", "label", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "li", "dt", "dd"} | {"hr"}
 TAGS = ["article", "main", "section", "div", "p", "h1", "h2", "h3", "ul", "ol", "li", "table", "td", "blockquote", "pre", "figure", "nav", "header", "footer", "aside", "form", "button", "dialog", "address", "details", "figcaption"]
 #: Words of class, id and role attributes by what they tell.
@@ -91,15 +95,21 @@ def _hints(attributes: str) -> tuple[frozenset[int], bool]:
 
 
 def parse(page: str) -> Node:
-    """The tree of block elements; inline elements leave their text in the block around them."""
+    """The tree of block elements; inline elements leave their text in the block around them.
+
+    Text that stands in no block (directly in the body) gets a paragraph of its own, up to the next block."""
     root = Node("html", frozenset(), False, None)
     node, at, in_link, end = root, 0, 0, len(page)
-    in_head = False
+    in_head, loose = False, None
     last_close = page.rfind(">")  # no tag begins beyond it
     while at < end:
         tag = _TAG.search(page, at) if at <= last_close else None
         text = page[at : tag.start()] if tag else page[at:]
         if text and not in_head:
+            if node is root and not text.isspace():
+                node = loose = Node("p", frozenset(), False, root)
+                root.parts.append(loose)
+                root.children.append(loose)
             node.parts.append(text)
             if in_link:
                 node.links += len(text)
@@ -122,6 +132,10 @@ def parse(page: str) -> Node:
                 if up is not root:
                     node, in_link = up.parent, 0
             continue
+        if name not in HEAD:
+            in_head = False
+        if node is loose and name in BLOCKS and name not in IN_LINE:
+            node = root
         if name in RAW and not tag.group(3).endswith("/"):
             close = re.compile(rf"</{re.escape(name)}\s*>", re.I).search(page, at)
             at = close.end() if close else end

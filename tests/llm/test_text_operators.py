@@ -323,3 +323,18 @@ def test_licenses_known_sentences_are_reachable_and_kept_apart(spark):
     assert got == {i: [sid] for i, sid in enumerate(licenses.SENTENCES)}
     apart = ["not licensed under the MIT license", "Licensed under\n\nthe MIT license.", "licensed under the MIT license or another"]
     assert licenses.scan(docs(spark, apart)).collect() == []
+
+
+def test_main_text_loose_in_body_and_head_without_end():
+    one = "The river rose again in spring and the old town had to move its market to the hill. " * 4
+    two = "Nobody had seen so much water since the bridge was built, said the keeper of the mill. " * 4
+    flat = " ".join(one.split()), " ".join(two.split())
+    pages = [
+        f"<html><body>{one}<br><br>{two}</body></html>",
+        f"<body><span>{one}</span> <b>{two}</b><div class='footer'><a href='#'>Legal</a></div></body>",
+        f"{one}\n{two}",
+        f"<!doctype html><head><title>x</title><meta charset=utf-8><article><p>{one}</p><p>{two}</p></article>",
+    ]
+    assert html_main.extract_many(pages, html_main.trained()) == [" ".join(flat)] * 4
+    bar = "<body>" + " ".join(f"<a href='/{i}'>Section {i}</a>" for i in range(8)) + f"<p>{one}</p><p>{two}</p></body>"
+    assert html_main.extract_many([bar, "<head><title>only</title>", " \n "], html_main.trained()) == [" ".join(flat), "", ""]
