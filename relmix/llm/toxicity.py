@@ -1,30 +1,39 @@
 """Toxicity by a weighted finite-state pattern grammar over clauses.
 
-A clause (text between stops, semicolons and line ends) becomes a string of symbols: insult, threat,
-target, negation, speech verb or quote, other. Three deterministic transducers, one for negation
-scope, one for reported speech and one for targets, are composed into a single machine; its output
-tells for every insult or threat whether it stands plainly, aimed at a target, negated or reported.
-The score is a logistic function of the weighted counts of these clause patterns, never of words
-alone: the same insult weighs differently by what the machine says of its clause.
-
-Only clauses with an insult or a threat can score, so an Aho-Corasick automaton finds candidate
+A clause (text between stops, semicolons and line ends) becomes a string of word classes. Five weighted
+transducers read it in a chain, each on the output of the one before: insults (words, phrases such as
+"piece of ...", repetitions), threats (an intention or wish followed by violence or death, an order to
+do violence to a target, a bare mention), negation scope, reported speech and targets. Learned words that
+clean documents hold too are weak insults with a weight of their own. The arcs carry weighted labels; the chain is composed lazily into one deterministic machine whose arc weights are the
+sums of its parts', so a clause weighs the sum along its path. Words alone weigh nothing: the same
+insult weighs differently by what the machine says of its clause.
+
+A document's log-odds are the start weight plus, for every weighted arc of the composed machine, its
+weight times log2(1 + how often it was taken). For one occurrence that is the path's weight;
+repetitions count on without bound but with falling force.
+
+Only clauses with an insult, violence or death can score, so an Aho-Corasick automaton finds candidate
 positions in the whole text and the machine reads just their clauses.
 
 Learned from labelled rows, of which about ``MAX_LABELLED`` are used (a seeded hash of the id picks
 them; the bound is for fitting alone): (1) insult words and word beginnings, accepted by a
 likelihood-ratio test of document counts that allows for the number of candidates and counts
-distinct preceding words instead of documents, so near copies cannot vote many times; (2) the
-pattern weights, by penalised logistic regression around fixed starting weights. Without labels the
-seed lexicon and the starting weights are used.
-
-Defined cases: null and empty texts score as texts without a matching clause; repeated label rows
-count once (toxic if any says so); null labels and ids are not learned from; ties at 0.5 are toxic.
+distinct preceding words instead of documents, so near copies cannot vote many times (tried for documents
+that hold an entry and for those that hold it twice, with different words before); (2) the arc
+weights, by penalised logistic regression around fixed starting weights. Without labels the seed
+lexicon and the starting weights are used.
+
+Defined cases: null and empty texts score as texts without a matching clause; very long texts and
+clauses are read whole, once; empty tables give empty results; repeated rows score alike; repeated
+label rows count once (toxic if any says so); null labels and ids are not learned from; input columns
+named like an output are replaced by it; ties at 0.5 are toxic.
 """
 
 from __future__ import annotations
 
 import math
 import re
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -42,112 +51,260 @@ MAX_LABELLED = 20_000
 
 #: Seed lexicon.
 INSULTS = ["idiot", "moron", "stupid", "loser", "scum", "trash", "clown", "pathetic", "worthless", "disgusting", "imbecile", "dumbass", "bastard", "asshole", "bitch", "whore", "cretin", "scumbag", "vermin", "dimwit", "idiota", "imbécile", "connard", "salope", "crétin", "arschloch", "dummkopf", "trottel", "schlampe", "abschaum", "estúpido", "gilipollas", "cabrón", "pendejo"]
-THREATS = ["kill", "murder", "strangle", "stab", "slaughter", "umbringen", "töten", "tuerai", "matar", "mataré"]
-TARGETS = ["you", "your", "youre", "yourself", "he", "she", "they", "him", "her", "them", "people", "everyone", "du", "dich", "dir", "ihr", "euch", "sie", "tu", "toi", "te", "vous", "ils", "tú", "ti", "usted", "ustedes", "vosotros"]
-NEGATIONS = ["not", "never", "no", "nobody", "isnt", "arent", "wasnt", "dont", "nicht", "kein", "keine", "nie", "pas", "jamais", "nunca", "ni"]
+THREATS = ["kill", "murder", "strangle", "stab", "slaughter", "umbringen", "töten", "tuerai", "matar", "mataré", "killed", "shot", "hanged", "shoot", "hang"]
+DEATHS = ["die", "dead", "death"]
+DEATHS_ELSE = ["sterben", "stirb", "mourir", "crever", "morir", "mueras"]
+INTENTS = ["will", "ill", "gonna", "going", "want", "wanna", "werde", "werden", "vais", "allons", "voy", "vamos"]
+WISHES = ["hope", "wish", "deserve", "deserves", "should", "must", "ought"]
+WISHES_ELSE = ["hoffe", "verdienst", "verdient", "sollst", "espère", "mérites", "espero", "mereces", "ojalá"]
+PARTS = ["piece", "waste", "pile", "sack", "load", "stück", "haufen", "tas", "pedazo", "montón"]
+LINKS = ["of", "de", "von"]
+FILTH = ["shit", "crap", "garbage", "filth", "space", "scheiße", "dreck", "merde", "mierda", "basura"]
+TARGETS = ["you", "your", "youre", "yourself", "yourselves", "he", "she", "they", "him", "her", "them", "themselves", "people", "everyone", "du", "dich", "dir", "ihr", "euch", "sie", "tu", "toi", "te", "vous", "ils", "tú", "ti", "usted", "ustedes", "vosotros"]
+NEGATIONS = ["not", "never", "no", "nobody", "isnt", "arent", "wasnt", "werent", "dont", "doesnt", "didnt", "wont", "wouldnt", "cannot", "cant", "nicht", "kein", "keine", "nie", "pas", "jamais", "nunca", "ni"]
 SPEECH = ["said", "says", "say", "called", "calls", "quoted", "wrote", "claimed", "sagte", "sagt", "nannte", "dit", "disait", "appelé", "dijo", "dice", "llamó"]
 
-OTHER, INSULT, THREAT, TARGET, NEGATION, REPORT, END = range(7)
-# outputs of the composed machine
-PLAIN, DENIED, TOLD, MENACE, MENACE_TOLD, NOTHING, AIMED_END, UNAIMED_END = range(8)
+#: Word classes that the first transducer reads; later ones read the outputs of those before.
+OTHER, ABUSE, SLUR, PART, LINK, DIRT, VIOLENCE, INTENT, TARGET, NEGATION, SAYS, QUOTE, PAUSE, END = "other abuse slur part link dirt violence intent target negation says quote pause end".split()
+#: English "die" is a German article, so English deaths need English wishes.
+WISH, DEATH, WISH_ELSE, DEATH_ELSE = "wish death wish-else death-else".split()
+INSULT, THREAT, MENTION = "insult threat mention".split()
+DENIED_INSULT, DENIED_THREAT, TOLD_INSULT, TOLD_THREAT = "denied-insult denied-threat told-insult told-threat".split()
+
+#: Labels of weighted arcs with their starting weights and the variances of the prior around them.
+LABELS = {
+    "insult": (4.5, 1.0),
+    "insult_phrase": (4.5, 1.0),
+    "insult_weak": (1.0, 1.0),
+    "insult_again": (0.5, 0.5),
+    "threat": (4.2, 1.0),
+    "violence": (0.5, 0.5),
+    "denied_insult": (-4.0, 1.0),
+    "denied_threat": (-4.0, 1.0),
+    "told_insult": (-3.5, 1.0),
+    "told_threat": (-3.5, 1.0),
+    "aimed_insult": (0.5, 1.0),
+    "aimed_threat": (0.8, 1.0),
+}
+START = -4.0
+START_WEIGHTS = np.array([START, *(w for w, _ in LABELS.values())])
+PRIOR_VARIANCE = np.array([1.0, *(v for _, v in LABELS.values())])
 KINDS = ["insult_aimed", "insult_plain", "insult_negated", "insult_reported", "threat_aimed", "threat_other"]
-START_WEIGHTS = np.array([-4.0, 5.0, 4.5, 0.5, 1.0, 4.0, 0.5])
-PRIOR_VARIANCE = np.array([1.0, 1.0, 1.0, 0.5, 0.5, 0.5, 0.5])
-MOST = 3  # a kind counts up to so often
+#: How much likelier in toxic documents an entry of the strong and of the weak lexicon is.
+STRONG_LIFT, WEAK_LIFT = 30, 3
 SCOPE = 4  # words a negation reaches
+REACH = 6  # words an intention or a wish reaches
 
 _TOKEN = re.compile(r"[^\W_]+|[\"“”«»„]")
+_WORD = re.compile(r"[^\W_]+(?:['’ʼ][^\W_]+)*|[\"“”«»„]|[,:()]")
+_MARK = re.compile("['’ʼ]")
 _CLAUSE_END = re.compile(r"[.!?;\n]")
+_WISHED = re.compile("|".join([*WISHES, *WISHES_ELSE]))
+_PARTED = re.compile("|".join(PARTS))
+
+State = object
+Arc = tuple[State, str, str | None]  # next state, output symbol, label
 
 
-@dataclass
 class Transducer:
-    """Deterministic: table[state][symbol] = (next state, output)."""
-
-    table: list[list[tuple[int, int]]]
-
-    def compose(self, after: Transducer) -> Transducer:
-        """The machine whose output is ``after`` read on this machine's output (states are pairs)."""
-        n = len(after.table)
-        rows = []
-        for own in self.table:
-            for then in after.table:
-                row = []
-                for state, out in own:
-                    state2, out2 = then[out]
-                    row.append((state * n + state2, out2))
-                rows.append(row)
-        return Transducer(rows)
-
-    def run(self, symbols: list[int]) -> list[int]:
-        state, out = 0, []
-        for s in symbols:
-            state, o = self.table[state][s]
-            out.append(o)
-        return out
+    """A deterministic weighted transducer given by its arc function; weights hang on the arcs' labels."""
 
+    start: State = 0
+
+    def arc(self, state: State, symbol: str) -> Arc:
+        return state, symbol, None
 
-def grammar() -> Transducer:
-    """negation ∘ reported speech ∘ target."""
-    # inner symbols: 0 other, 1 insult, 2 threat, 3 target, 4 negated insult, 5 report mark, 6 end
-    negation = []
-    for left in range(SCOPE + 1):
-        rest = max(left - 1, 0)
-        negation.append([(rest, 0), (rest, 4 if left else 1), (rest, 0 if left else 2), (rest, 3), (SCOPE, 0), (rest, 5), (0, 6)])
-    # next symbols: 0 other, 1 insult, 2 negated, 3 reported insult, 4 threat, 5 reported threat, 6 target, 7 end
-    report = []
-    for on in (0, 1):
-        report.append([(on, 0), (on, 3 if on else 1), (on, 5 if on else 4), (on, 6), (on, 2), (1, 0), (0, 7)])
-    target = []
-    for seen in (0, 1):
-        target.append([(seen, NOTHING), (seen, PLAIN), (seen, DENIED), (seen, TOLD), (seen, MENACE), (seen, MENACE_TOLD), (1, NOTHING), (0, AIMED_END if seen else UNAIMED_END)])
-    return Transducer(negation).compose(Transducer(report)).compose(Transducer(target))
+
+class Insults(Transducer):
+    """States: 0, "part" and "link" inside a phrase, "again" right after an insult."""
+
+    def arc(self, state: State, symbol: str) -> Arc:
+        if symbol == ABUSE:
+            return "again", INSULT, {"again": "insult_again", "link": "insult_phrase"}.get(state, "insult")
+        if symbol == SLUR:
+            return 0, INSULT, "insult_weak"
+        if symbol == DIRT and state == "link":
+            return "again", INSULT, "insult_phrase"
+        if symbol == PART:
+            return "part", OTHER, None
+        if symbol == LINK:
+            return "link" if state in ("part", "link") else 0, OTHER, None
+        return 0, OTHER if symbol == DIRT else symbol, None
+
+
+class Threats(Transducer):
+    """States: 0, (class, words it still reaches) after an intention or a wish, "bare" right after bare violence."""
+
+    def arc(self, state: State, symbol: str) -> Arc:
+        meant = state[0] if isinstance(state, tuple) else None
+        if symbol in (INTENT, WISH, WISH_ELSE):
+            # an intention does not end a wish's reach
+            return (meant if symbol == INTENT and meant else symbol, REACH), OTHER, None
+        if symbol == VIOLENCE:
+            return (0, THREAT, "threat") if meant else ("bare", MENTION, "violence")
+        if symbol in (DEATH, DEATH_ELSE):
+            return (0, THREAT, "threat") if meant == (WISH if symbol == DEATH else WISH_ELSE) else (self.passed(state), OTHER, None)
+        if symbol == TARGET and state == "bare":
+            return 0, THREAT, "threat"
+        return self.passed(state), symbol, None
+
+    @staticmethod
+    def passed(state: State) -> State:
+        return (state[0], state[1] - 1) if isinstance(state, tuple) and state[1] > 1 else 0
+
+
+class Negations(Transducer):
+    """State: words that the last negation still reaches."""
+
+    def arc(self, state: State, symbol: str) -> Arc:
+        if symbol == NEGATION:
+            return SCOPE, OTHER, None
+        if symbol == PAUSE:
+            return 0, OTHER, None
+        rest = max(state - 1, 0)
+        if state and symbol == INSULT:
+            return rest, DENIED_INSULT, "denied_insult"
+        if state and symbol == THREAT:
+            return rest, DENIED_THREAT, "denied_threat"
+        return rest, symbol, None
+
+
+class Reports(Transducer):
+    """State: (a speech verb was read, inside quotes)."""
+
+    start = (False, False)
+
+    def arc(self, state: State, symbol: str) -> Arc:
+        says, quoted = state
+        if symbol == SAYS:
+            return (True, quoted), OTHER, None
+        if symbol == QUOTE:
+            return (says, not quoted), OTHER, None
+        if (says or quoted) and symbol == INSULT:
+            return state, TOLD_INSULT, "told_insult"
+        if (says or quoted) and symbol == THREAT:
+            return state, TOLD_THREAT, "told_threat"
+        return state, symbol, None
+
+
+class Targets(Transducer):
+    """State: (a target was read, the plain insults and threats read); the clause's end tells whom they meet."""
+
+    start = (False, False, False)
+
+    def arc(self, state: State, symbol: str) -> Arc:
+        seen, insult, threat = state
+        if symbol == END:
+            which = "aimed_threat" if threat else "aimed_insult"
+            return self.start, END, which if seen and (insult or threat) else None
+        return (seen or symbol == TARGET, insult or symbol == INSULT, threat or symbol == THREAT), symbol, None
+
+
+CHAIN = (Insults(), Threats(), Negations(), Reports(), Targets())
+
+
+class Composed:
+    """The chain as one deterministic machine, built as it is used: (state, symbol) -> (state, output, labels, weight)."""
+
+    def __init__(self, parts: tuple[Transducer, ...] = CHAIN, weights: dict[str, float] | None = None):
+        self.parts = parts
+        self.weights = weights or {k: w for k, (w, _) in LABELS.items()}
+        self.numbers = {tuple(p.start for p in parts): 0}
+        self.states = [tuple(p.start for p in parts)]
+        self.arcs: list[dict[str, tuple[int, str, tuple[str, ...], float]]] = [{}]
+
+    def _arc(self, at: int, symbol: str) -> tuple[int, str, tuple[str, ...], float]:
+        after, out, labels = [], symbol, []
+        for part, state in zip(self.parts, self.states[at], strict=True):
+            state, out, label = part.arc(state, out)
+            after.append(state)
+            if label:
+                labels.append(label)
+        key = tuple(after)
+        if key not in self.numbers:
+            self.numbers[key] = len(self.states)
+            self.states.append(key)
+            self.arcs.append({})
+        self.arcs[at][symbol] = found = (self.numbers[key], out, tuple(labels), sum(self.weights[x] for x in labels))
+        return found
+
+    def run(self, symbols: list[str]) -> tuple[list[str], list[tuple[str, ...]], float]:
+        """(output symbols, labels of every weighted arc, weight) of the path that reads the symbols."""
+        at, outs, labels, weight = 0, [], [], 0.0
+        arcs = self.arcs
+        for symbol in symbols:
+            at, out, own, w = arcs[at].get(symbol) or self._arc(at, symbol)
+            outs.append(out)
+            if own:
+                labels.append(own)
+                weight += w
+        return outs, labels, weight
 
 
 @dataclass
 class Model:
     words: list[str] = field(default_factory=lambda: list(INSULTS))
     stems: list[str] = field(default_factory=list)
+    weak_words: list[str] = field(default_factory=list)
+    weak_stems: list[str] = field(default_factory=list)
     threats: list[str] = field(default_factory=lambda: list(THREATS))
     weights: list[float] = field(default_factory=lambda: START_WEIGHTS.tolist())
 
 
+@dataclass
+class Clause:
+    """A clause that holds patterns: place, pattern kinds in order, labels of its path's weighted arcs, its weight."""
+
+    begin: int
+    end: int
+    kinds: list[str]
+    labels: list[tuple[str, ...]]
+    weight: float
+
+
 class Matcher:
     """The compiled model of one task."""
 
     def __init__(self, model: Model):
         import ahocorasick
 
-        self.machine = grammar()
-        self.words, self.stems, self.threats = set(model.words), set(model.stems), set(model.threats)
-        self.lengths = sorted({len(s) for s in self.stems})
-        self.symbol = {w: TARGET for w in TARGETS} | {w: NEGATION for w in NEGATIONS} | {w: REPORT for w in SPEECH}
-        self.weights = np.array(model.weights)
+        self.weights = dict(zip(LABELS, model.weights[1:], strict=True))
+        self.start = model.weights[0]
+        self.machine = Composed(weights=self.weights)
+        # exact words before beginnings, strong entries before weak ones
+        self.lexicon = [(set(model.words), set(model.stems), ABUSE), (set(model.weak_words), set(model.weak_stems), SLUR)]
+        self.lengths = sorted({len(s) for _, stems, _ in self.lexicon for s in stems})
+        classes = [(TARGETS, TARGET), (NEGATIONS, NEGATION), (SPEECH, SAYS), (INTENTS, INTENT), (WISHES, WISH), (WISHES_ELSE, WISH_ELSE), (PARTS, PART), (LINKS, LINK), (FILTH, DIRT), (DEATHS, DEATH), (DEATHS_ELSE, DEATH_ELSE), (model.threats, VIOLENCE)]
+        self.symbol = {w: c for words, c in classes for w in words} | dict.fromkeys('"“”«»„', QUOTE) | dict.fromkeys(",:()", PAUSE)
+        # what a clause must hold to score, and what it must hold besides (a class of its own begins no pattern)
+        needs = {w: _WISHED for w in [*DEATHS, *DEATHS_ELSE]} | {w: _PARTED for w in FILTH} | dict.fromkeys([w for words, stems, _ in self.lexicon for w in words | stems] + model.threats)
         self.anchors = ahocorasick.Automaton()
-        for w in self.words | self.stems | self.threats:
-            self.anchors.add_word(w, len(w))
-        if len(self.anchors):
-            self.anchors.make_automaton()
-
-    def symbol_of(self, token: str) -> int:
-        if token in self.words or any(token[:n] in self.stems for n in self.lengths):
-            return INSULT
-        if token in self.threats:
-            return THREAT
-        if token in '"“”«»„':
-            return REPORT
-        return self.symbol.get(token, OTHER)
+        for w, need in needs.items():
+            self.anchors.add_word(w, (len(w), need))
+        self.anchors.make_automaton()
+
+    def symbol_of(self, word: str) -> str:
+        for words, stems, symbol in self.lexicon:
+            if word in words or any(word[:n] in stems for n in self.lengths):
+                return symbol
+        return self.symbol.get(word, OTHER)
+
+    def symbols(self, clause: str) -> list[str]:
+        """Word classes of a lowered clause. A word with an apostrophe is one word where that is known, else its parts."""
+        out = []
+        for word in _WORD.findall(clause):
+            parts = _MARK.split(word)
+            if len(parts) > 1 and "".join(parts) in self.symbol:
+                parts = ["".join(parts)]
+            out += map(self.symbol_of, parts)
+        return out
 
-    def clauses(self, text: str) -> list[tuple[int, int, str]]:
-        """(begin, end, kind) of every insult or threat pattern, with the clause it stands in."""
-        low = text.lower()
-        if len(low) != len(text):  # a letter whose lower case is longer; offsets are then those of the lowered text
-            text = low
-        found: list[tuple[int, int, str]] = []
+    def matches(self, text: str) -> list[Clause]:
+        """Every clause that holds an insult or a threat pattern."""
+        low = text.lower()  # offsets are those of the lowered text
+        found: list[Clause] = []
         done = -1
-        if not len(self.anchors):
-            return found
-        for last, size in self.anchors.iter(low):
+        for last, (size, need) in self.anchors.iter(low):
             first = last - size + 1
             if first < done or (first and low[first - 1].isalnum()):
                 continue
@@ -155,25 +312,33 @@ class Matcher:
             begin = max(max(low.rfind(c, max(done, 0), first) for c in ".!?;\n") + 1, done)
             stop = _CLAUSE_END.search(low, last + 1)
             end = stop.start() if stop else len(low)
+            if need and not need.search(low, begin, end):
+                continue
             done = end
-            symbols = [self.symbol_of(t) for t in _TOKEN.findall(low[begin:end].replace("'", ""))]
-            out = self.machine.run([*symbols, END])
-            aimed = out[-1] == AIMED_END
-            for o in out[:-1]:
-                kind = {PLAIN: 0 if aimed else 1, DENIED: 2, TOLD: 3, MENACE: 4 if aimed else 5, MENACE_TOLD: 5}.get(o)
-                if kind is not None:
-                    found.append((begin, end, KINDS[kind]))
+            outs, labels, weight = self.machine.run([*self.symbols(low[begin:end]), END])
+            if labels:
+                aimed = labels[-1][0].startswith("aimed")
+                names = {INSULT: KINDS[0 if aimed else 1], DENIED_INSULT: KINDS[2], TOLD_INSULT: KINDS[3], THREAT: KINDS[4 if aimed else 5]}
+                names |= dict.fromkeys((MENTION, DENIED_THREAT, TOLD_THREAT), KINDS[5])
+                found.append(Clause(begin, end, [names[o] for o in outs if o in names], labels, weight))
         return found
 
-    def counts(self, spans: list[tuple[int, int, str]]) -> list[int]:
-        out = [0] * len(KINDS)
-        for _, _, kind in spans:
-            i = KINDS.index(kind)
-            out[i] = min(out[i] + 1, MOST)
-        return out
+    def clauses(self, text: str) -> list[tuple[int, int, str]]:
+        """(begin, end, kind) of every pattern, with the clause it stands in."""
+        return [(c.begin, c.end, kind) for c in self.matches(text) for kind in c.kinds]
+
+    @staticmethod
+    def features(clauses: list[Clause]) -> list[float]:
+        """For every label the sum of log2(1 + times taken) over the composed arcs that carry it."""
+        out = dict.fromkeys(LABELS, 0.0)
+        for arc, n in Counter(arc for c in clauses for arc in c.labels).items():
+            for label in arc:
+                out[label] += math.log2(1 + n)
+        return list(out.values())
 
-    def score(self, counts: list[int]) -> float:
-        return 1 / (1 + math.exp(-(self.weights[0] + float(np.dot(self.weights[1:], counts)))))
+    def score(self, clauses: list[Clause]) -> float:
+        odds = self.start + sum(w * x for w, x in zip(self.weights.values(), self.features(clauses), strict=True))
+        return 1 / (1 + math.exp(-max(odds, -700.0)))
 
 
 def _terms(text: str) -> set[tuple[str, int]]:
@@ -210,22 +375,22 @@ def _document_counts(candidates: list[str]):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            counts: dict[tuple[str, int], int] = {}
+            counts: Counter[tuple[str, int, int]] = Counter()
             for toxic, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                for term in {t for t, _ in _terms(text or "")} & wanted:
-                    counts[term, toxic] = counts.get((term, toxic), 0) + 1
-            keys = list(counts)
-            yield pa.RecordBatch.from_arrays([pa.array([k[0] for k in keys], pa.string()), pa.array([k[1] for k in keys], pa.int32()), pa.array(list(counts.values()), pa.int64())], names=["term", "toxic", "n"])
+                for term, n in Counter(t for t, _ in _terms(text or "") if t in wanted).items():
+                    counts.update([(term, toxic, 1), (term, toxic, 2)] if n > 1 else [(term, toxic, 1)])
+            term, toxic, least = zip(*counts, strict=True) if counts else ((), (), ())
+            yield pa.RecordBatch.from_arrays([pa.array(term, pa.string()), pa.array(toxic, pa.int32()), pa.array(least, pa.int32()), pa.array(list(counts.values()), pa.int64())], names=["term", "toxic", "least", "n"])
 
     return run
 
 
-def _pattern_counts(model: Model):
+def _pattern_features(model: Model):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         matcher = Matcher(model)
         for batch in batches:
-            rows = [matcher.counts(matcher.clauses(t or "")) for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.list_(pa.int32()))], names=["toxic", "counts"])
+            rows = [matcher.features(matcher.matches(t or "")) for t in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(rows, pa.list_(pa.float64()))], names=["toxic", "features"])
 
     return run
 
@@ -258,29 +423,37 @@ def learn(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col:
     # bounded by the sample: a term needs ``least`` distinct contexts
     support = {r["term"]: r["n"] for r in contexts.groupBy("term").agg(F.count(F.lit(1)).alias("n")).filter(F.col("n") >= least).collect()}
     seeds = [*INSULTS, *THREATS]
-    counted = texts.mapInArrow(tidy(_document_counts([*support, *seeds])), "term string, toxic int, n bigint").groupBy("term", "toxic").agg(F.sum("n").alias("n")).collect()
-    by_term: dict[str, list[int]] = {}
+    counted = texts.mapInArrow(tidy(_document_counts([*support, *seeds])), "term string, toxic int, least int, n bigint").groupBy("term", "toxic", "least").agg(F.sum("n").alias("n")).collect()
+    by_term: dict[tuple[str, int], list[int]] = {}
     for r in counted:
-        by_term.setdefault(r["term"], [0, 0])[int(r["toxic"] == 1)] += r["n"]
+        by_term.setdefault((r["term"], r["least"]), [0, 0])[int(r["toxic"] == 1)] += r["n"]
     prior = bad / (bad + good)
-    bar = math.log(len(support) + 1) + 4
-    chosen: set[str] = set()
+    bar = math.log(2 * len(support) + 1) + 4
+    strong: set[str] = set()
+    weak: set[str] = set()
     for term, spread in support.items():
-        n, t = by_term.get(term, [0, 0])
-        t = min(t, spread)
-        lift = (t + 0.5) / (bad + 1) / ((n + 0.5) / (good + 1))
-        if t and lift >= 10 and t / (t + n) > prior and _divergence(t, t + n, prior) >= bar:
-            chosen.add(term)
+        lift, sure = [], []
+        for least in (1, 2):
+            n, t = by_term.get((term, least), [0, 0])
+            t = min(t, spread // least)
+            lift.append((t + 0.5) / (bad + 1) / ((n + 0.5) / (good + 1)))
+            sure.append(t and lift[-1] >= WEAK_LIFT and t / (t + n) > prior and _divergence(t, t + n, prior) >= bar)
+        if sure[0] and lift[0] >= STRONG_LIFT:
+            strong.add(term)
+        elif any(sure) and lift[0] >= WEAK_LIFT:
+            weak.add(term)
 
     def refuted(word: str) -> bool:
-        n, t = by_term.get(word, [0, 0])
+        n, t = by_term.get((word, 1), [0, 0])
         return t + n >= 3 and (t + 0.5) / (bad + 1) / ((n + 0.5) / (good + 1)) < 3
 
-    model.words = sorted({w for w in INSULTS if not refuted(w)} | {c for c in chosen if c[-1] != "*" and c not in THREATS})
-    model.stems = sorted(c[:-1] for c in chosen if c[-1] == "*")
+    model.words = sorted({w for w in INSULTS if not refuted(w)} | {c for c in strong if c[-1] != "*" and c not in THREATS})
+    model.stems = sorted(c[:-1] for c in strong if c[-1] == "*")
+    model.weak_words = sorted(c for c in weak if c[-1] != "*" and c not in THREATS)
+    model.weak_stems = sorted(c[:-1] for c in weak if c[-1] == "*")
     model.threats = [w for w in THREATS if not refuted(w)]
-    grid = texts.select("toxic", "text").mapInArrow(tidy(_pattern_counts(model)), "toxic int, counts array<int>").groupBy("toxic", "counts").count().collect()
-    x = np.array([[1, *r["counts"]] for r in grid], float)
+    grid = texts.select("toxic", "text").mapInArrow(tidy(_pattern_features(model)), "toxic int, features array<double>").groupBy("toxic", "features").count().collect()
+    x = np.array([[1, *r["features"]] for r in grid], float)
     y = np.array([r["toxic"] == 1 for r in grid], float)
     n = np.array([r["count"] for r in grid], float)
     model.weights = fit_weights(x, y, n).tolist()
@@ -301,11 +474,11 @@ def fit_weights(x: np.ndarray, y: np.ndarray, n: np.ndarray, rounds: int = 50) -
     return w
 
 
-_SPANS = pa.list_(pa.struct([("begin", pa.int32()), ("end", pa.int32()), ("kind", pa.string())]))
+_SPANS = pa.list_(pa.struct([("begin", pa.int32()), ("end", pa.int32()), ("kind", pa.string()), ("weight", pa.float64())]))
 
 
 def score(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
-    """The frame with ``toxicity`` (0..1) and ``toxic_clauses`` (begin, end, kind); columns of these names are replaced."""
+    """The frame with ``toxicity`` (0..1) and ``toxic_clauses`` (begin, end, kind, weight of the clause's path); columns of these names are replaced."""
     kept = replaced(docs, ["toxicity", "toxic_clauses"])
     where = [c.lower() for c in kept.columns].index(text_col.lower())
 
@@ -314,13 +487,13 @@ def score(docs: DataFrame, model: Model, text_col: str = "text") -> DataFrame:
         for batch in batches:
             for a in range(0, batch.num_rows, 512):
                 rows = batch.slice(a, 512)
-                spans = [matcher.clauses(t or "") for t in rows.column(where).to_pylist()]
-                scores = [matcher.score(matcher.counts(s)) for s in spans]
-                named = [[{"begin": b, "end": e, "kind": k} for b, e, k in s] for s in spans]
+                found = [matcher.matches(t or "") for t in rows.column(where).to_pylist()]
+                scores = [matcher.score(clauses) for clauses in found]
+                named = [[{"begin": c.begin, "end": c.end, "kind": k, "weight": c.weight} for c in clauses for k in c.kinds] for clauses in found]
                 yield pa.RecordBatch.from_arrays([*rows.columns, pa.array(scores, pa.float64()), pa.array(named, _SPANS)], names=[*rows.schema.names, "toxicity", "toxic_clauses"])
 
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in kept.schema.fields])
-    schema = schema.add("toxicity", "double").add("toxic_clauses", T.ArrayType(T.StructType().add("begin", "integer").add("end", "integer").add("kind", "string")))
+    schema = schema.add("toxicity", "double").add("toxic_clauses", T.ArrayType(T.StructType().add("begin", "integer").add("end", "integer").add("kind", "string").add("weight", "double")))
     return small_batches(kept).mapInArrow(tidy(run), schema)
 
 
