@@ -1,21 +1,25 @@
 """Main text of web pages by gradient-boosted trees over DOM nodes with hierarchical decoding.
 
-A page becomes a tree of block elements. Every node gets features: tag, words in its attributes,
+A page becomes a tree of block elements; text that stands beside blocks in one element, or in none, gets
+a paragraph of its own, so text is in leaves alone. Every node gets features: tag, words in its attributes,
 what its ancestors are, depth, place among and likeness to its siblings, and densities of its whole
 subtree (text, links, tags, list items, form fields, stops). Boosted regression trees turn them into
 the log-odds that the node belongs to the article. Decoding chooses keep or drop for the whole tree
 at once: a dropped node drops everything below it, so no kept node ever stands under a dropped one;
 among these consistent choices a dynamic program takes the one with the greatest total log-odds,
-weighted by text.
+weighted by text. What is kept is shown, whole; what is dropped is not.
 
 The trees are trained here, on pages that a generator of this module builds from many layouts with
 known roles; no page of a corpus and no label of it is used. Training is seeded and takes a few
 seconds on the driver; the model is a few kilobytes and travels with the tasks.
 
-Defined cases: null and empty html give an empty text; broken markup is read leniently (stray end
-tags are ignored, paragraphs and list items close each other, open elements close at the end);
-scripts, styles, templates, comments and the head never give text; character references are decoded
-as HTML5 does; a page of any length is read whole; repeated rows give repeated results.
+Defined cases: null and empty html give an empty text; an empty table gives an empty one; broken markup
+is read leniently (stray end tags are ignored, paragraphs and list items close each other, open elements
+close at the end, a quote that no attribute's end closes is a plain sign, so its tag ends at the next
+``>``); scripts, styles, templates, markup comments, frames, text fields, hidden elements and the head
+never give text, while formulas, drawings' labels, fallback contents and ``noscript`` are read like any
+other; character references are decoded as HTML5 does; a page of any length is read whole; repeated rows
+give repeated results; log-odds of 0 drop; an input column named like the output is replaced.
 """
 
 from __future__ import annotations
@@ -37,13 +41,13 @@ from relmix.llm.workers import tidy
 
 #: Element groups of HTML.
 VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
-RAW = {"script", "style", "textarea", "title", "noscript", "template", "iframe", "svg", "math", "object", "xmp", "noembed", "noframes"}
-BLOCKS = {"html", "body", "article", "section", "div", "main", "nav", "header", "footer", "aside", "form", "fieldset", "p", "h1", "h2", "h3", "h4", "h5", "h6", "ul", "ol", "li", "dl", "dt", "dd", "table", "thead", "tbody", "tfoot", "tr", "td", "th", "caption", "blockquote", "pre", "figure", "figcaption", "address", "details", "summary", "dialog", "hgroup", "menu", "search", "center", "button", "select", "option", "label"}
+RAW = {"script", "style", "textarea", "title", "template", "iframe", "noembed", "noframes", "annotation", "annotation-xml", "desc", "metadata"}
+BLOCKS = {"html", "body", "article", "section", "div", "main", "nav", "header", "footer", "aside", "form", "fieldset", "p", "h1", "h2", "h3", "h4", "h5", "h6", "ul", "ol", "li", "dl", "dt", "dd", "table", "thead", "tbody", "tfoot", "tr", "td", "th", "caption", "blockquote", "pre", "figure", "figcaption", "address", "details", "summary", "dialog", "hgroup", "menu", "search", "center", "noscript", "button", "select", "option", "label"}
 #: Elements of the head; any other one ends it, as its end tag and <body> do.
 HEAD = {"html", "head", "title", "meta", "link", "base", "style", "script", "noscript", "template"}
 #: Blocks that stand in a line of text.
 IN_LINE = {"button", "select", "option", "label"}
-CLOSES_P = BLOCKS - {"html", "body", "button", "select", "option", "label", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "li", "dt", "dd"} | {"hr"}
+CLOSES_P = BLOCKS - {"html", "body", "noscript", "button", "select", "option", "label", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "li", "dt", "dd"} | {"hr"}
 TAGS = ["article", "main", "section", "div", "p", "h1", "h2", "h3", "ul", "ol", "li", "table", "td", "blockquote", "pre", "figure", "nav", "header", "footer", "aside", "form", "button", "dialog", "address", "details", "figcaption"]
 #: Words of class, id and role attributes by what they tell.
 HINTS = {
@@ -60,20 +64,26 @@ HINTS = {
 }
 _HINT_OF = {w: i for i, (_, words) in enumerate(HINTS.items()) for w in words}
 
-_TAG = re.compile(r"<(?:!--.*?(?:-->|\Z)|![^>]*>|\?[^>]*>|(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>)", re.S)
+#: A quoted value ends where white space or the tag's end follows its closing quote.
+_TAG = re.compile(r"<(?:!--.*?(?:-->|\Z)|![^>]*>|\?[^>]*>|(/?)([a-zA-Z][^\s/>]*)((?>[^>\"']|\"[^\"]*\"(?=[\s/>])|'[^']*'(?=[\s/>])|[\"'])*+)>)", re.S)
 _ATTR = re.compile(r"(class|id|role|hidden|style|aria-hidden)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?", re.I)
 _PART = re.compile(r"[a-z]+")
 _STOP = re.compile(r"[.!?](?:\s|$)")
 
 
+class Linked(str):
+    """Text inside a link."""
+
+
 class Node:
-    __slots__ = ("tag", "hints", "hidden", "parent", "children", "parts", "index", "links", "tags", "fields")
+    __slots__ = ("tag", "hints", "hidden", "parent", "children", "parts", "index", "tags", "fields", "loose")
 
     def __init__(self, tag: str, hints: frozenset[int], hidden: bool, parent: Node | None):
         self.tag, self.hints, self.hidden, self.parent = tag, hints, hidden, parent
         self.children: list[Node] = []
         self.parts: list = []  # own text, and the children in their places
-        self.index = self.links = self.tags = self.fields = 0
+        self.index = self.tags = self.fields = 0
+        self.loose = False  # a paragraph that no element of the page is
 
 
 def _hints(attributes: str) -> tuple[frozenset[int], bool]:
@@ -97,27 +107,25 @@ def _hints(attributes: str) -> tuple[frozenset[int], bool]:
 def parse(page: str) -> Node:
     """The tree of block elements; inline elements leave their text in the block around them.
 
-    Text that stands in no block (directly in the body) gets a paragraph of its own, up to the next block."""
+    Text beside blocks, or in none, gets a paragraph of its own, up to the next block."""
     root = Node("html", frozenset(), False, None)
     node, at, in_link, end = root, 0, 0, len(page)
-    in_head, loose = False, None
+    in_head = False
     last_close = page.rfind(">")  # no tag begins beyond it
     while at < end:
-        tag = _TAG.search(page, at) if at <= last_close else None
+        tag = _TAG.search(page, at, last_close + 1) if at <= last_close else None
         text = page[at : tag.start()] if tag else page[at:]
+        if text and in_head and not text.isspace():
+            in_head = False  # text is no content of a head
         if text and not in_head:
-            if node is root and not text.isspace():
-                node = loose = Node("p", frozenset(), False, root)
-                root.parts.append(loose)
-                root.children.append(loose)
-            node.parts.append(text)
-            if in_link:
-                node.links += len(text)
+            node.parts.append(Linked(text) if in_link else text)
         if not tag:
             break
         at = tag.end()
         name = tag.group(2)
         if not name:
+            if tag.group().startswith("<!--") and not tag.group().endswith("-->"):
+                break  # a comment that does not end
             continue
         name = name.lower()
         if tag.group(1):  # an end tag
@@ -134,10 +142,10 @@ def parse(page: str) -> Node:
             continue
         if name not in HEAD:
             in_head = False
-        if node is loose and name in BLOCKS and name not in IN_LINE:
-            node = root
-        if name in RAW and not tag.group(3).endswith("/"):
+        if (name in RAW or name == "xmp") and not tag.group(3).endswith("/"):
             close = re.compile(rf"</{re.escape(name)}\s*>", re.I).search(page, at)
+            if name == "xmp":  # shown as it is written
+                node.parts.append(html_lib.escape(page[at : close.start() if close else end]))
             at = close.end() if close else end
             node.fields += name == "textarea"
             continue
@@ -176,6 +184,28 @@ def parse(page: str) -> Node:
         node.parts.append(child)
         node.children.append(child)
         node, in_link = child, 0
+    return with_paragraphs(root)
+
+
+def with_paragraphs(root: Node) -> Node:
+    """Runs of text beside blocks, and those of the root, become paragraphs; blank runs there are nothing."""
+    for node in ordered(root):
+        if not node.children and node is not root:
+            continue
+        parts: list = []
+        run: list[str] = []
+        for part in [*node.parts, None]:
+            if isinstance(part, str):
+                run.append(part)
+                continue
+            if run and not "".join(run).isspace():
+                loose = Node("p", frozenset(), False, node)
+                loose.parts, loose.loose = run, True
+                parts.append(loose)
+            run = []
+            if part is not None:
+                parts.append(part)
+        node.parts, node.children = parts, list(parts)
     return root
 
 
@@ -205,8 +235,9 @@ def features(nodes: list[Node]) -> tuple[np.ndarray, np.ndarray]:
     for i, node in enumerate(nodes):
         texts = [p for p in node.parts if isinstance(p, str)]
         flat = " ".join("".join(texts).split())
+        linked = sum(len(p) for p in texts if isinstance(p, Linked))
         own[i] = len(flat)
-        sums[i] = (len(flat), min(node.links, len(flat)), node.tags, node.tag == "li", node.tag == "p", node.fields, len(_STOP.findall(flat)))
+        sums[i] = (len(flat), min(linked, len(flat)), node.tags, node.tag == "li", node.tag == "p", node.fields, len(_STOP.findall(flat)))
         if node.tag in _TAG_AT:
             x[i, _TAG_AT[node.tag]] = 1
         for h in node.hints:
@@ -262,10 +293,10 @@ _LANDMARK = {"article": 0, "main": 0, "nav": 1, "header": 2, "footer": 3, "aside
 
 
 class BoostedTrees:
-    """Gradient boosting of depth-limited trees on histogram bins, logistic loss."""
+    """Gradient boosting of depth-limited trees on histogram bins, logistic loss, a seeded share of the rows for each tree."""
 
-    def __init__(self, rounds: int = 60, depth: int = 4, rate: float = 0.2, bins: int = 32):
-        self.rounds, self.depth, self.rate, self.bins = rounds, depth, rate, bins
+    def __init__(self, rounds: int = 120, depth: int = 4, rate: float = 0.2, bins: int = 32, share: float = 0.4, seed: int = 5):
+        self.rounds, self.depth, self.rate, self.bins, self.share, self.seed = rounds, depth, rate, bins, share, seed
         self.trees: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
         self.base = 0.0
 
@@ -277,13 +308,14 @@ class BoostedTrees:
         score = np.full(len(y), self.base)
         width = self.bins + 1
         flat = binned + np.arange(x.shape[1]) * width
+        rng = np.random.default_rng(self.seed)
         for _ in range(self.rounds):
             p = 1 / (1 + np.exp(-score))
             g, h = y - p, p * (1 - p) + 1e-6
             feature = np.full(2 ** (self.depth + 1) - 1, -1)
             cut = np.zeros(2 ** (self.depth + 1) - 1)
             value = np.zeros(2 ** (self.depth + 1) - 1)
-            where = np.zeros(len(y), int)
+            where = np.where(rng.random(len(y)) < self.share, 0, -1)
             for level in range(self.depth + 1):
                 for node in range(2**level - 1, 2 ** (level + 1) - 1):
                     rows = np.flatnonzero(where == node)
@@ -325,42 +357,23 @@ class BoostedTrees:
 
 
 def decide(nodes: list[Node], odds: np.ndarray, own: np.ndarray) -> np.ndarray:
-    """Keep marks of greatest total log-odds under: below a dropped node everything is dropped."""
+    """Keep marks of greatest total log-odds under: below a dropped or hidden node everything is dropped. The root stays."""
     weight = np.where(own > 0, np.sqrt(own), 0.25)
-    keep_gain = odds * weight
-    best = keep_gain.copy()  # of keeping the node, with the best choice for each child
+    best = odds * weight  # of keeping the node, with the best choice for each child
     for i in range(len(nodes) - 1, 0, -1):
-        if best[i] > 0:
+        if best[i] > 0 and not nodes[i].hidden:
             best[nodes[i].parent.index] += best[i]
     keep = np.zeros(len(nodes), bool)
     keep[0] = True
     for i in range(1, len(nodes)):
         keep[i] = keep[nodes[i].parent.index] and best[i] > 0 and not nodes[i].hidden
-    # a kept node without kept text below only because of its children's gain still may not show its own text
-    show = keep & ((odds > 0) | (own == 0))
-    show[0] = False
-    return show
+    return keep
 
 
 def text_of(nodes: list[Node], show: np.ndarray) -> str:
-    """Blocks in page order joined by one blank, white space inside a block joined."""
-    blocks: list[str] = []
-
-    stack = [(nodes[0], 0)]
-    while stack:
-        node, at = stack.pop()
-        parts, open_text = node.parts, []
-        while at < len(parts) and isinstance(parts[at], str):
-            open_text.append(parts[at])
-            at += 1
-        if open_text and show[node.index]:
-            flat = " ".join(html_lib.unescape("".join(open_text)).split())
-            if flat:
-                blocks.append(flat)
-        if at < len(parts):
-            stack.append((node, at + 1))
-            stack.append((parts[at], 0))
-    return " ".join(blocks)
+    """Blocks in page order joined by one blank, white space inside a block joined. Text is in nodes without children."""
+    texts = (html_lib.unescape("".join(node.parts)) for node in nodes if not node.children and show[node.index])
+    return " ".join(filter(None, (" ".join(text.split()) for text in texts)))
 
 
 # ---------------------------------------------------------------- training pages
@@ -369,6 +382,10 @@ def text_of(nodes: list[Node], show: np.ndarray) -> str:
 _SYLLABLES = "an ber con de en fi ga her is ko la men nor or pa que re sta ti un ver wo za che sch ous tion".split()
 
 
+#: Signs that a generated page puts into loose text to tell its role; without one it has that of its element.
+_ROLES = {"\ue000": 0, "\ue001": 1}
+
+
 class _Writer:
     """Pages of random layouts; elements carry data-k="1" (article) or data-k="0" (not)."""
 
@@ -379,7 +396,9 @@ class _Writer:
         return "".join(self.r.choice(_SYLLABLES) for _ in range(self.r.randint(1, 4)))
 
     def prose(self, low: int, high: int) -> str:
-        words = []
+        words: list[str] = []
+        if self.r.random() < 0.1:  # without a stop
+            return " ".join(self.word() for _ in range(self.r.randint(low, high)))
         for i in range(self.r.randint(low, high)):
             w = self.word()
             words.append(w.capitalize() if not i or words[-1].endswith(".") else w)
@@ -449,6 +468,26 @@ class _Writer:
     def clutter(self) -> str:
         return self.r.choice([self.nav, self.header, self.footer, self.aside, self.advert, self.notice, self.form, self.comments, self.share])()
 
+    def unscripted(self) -> str:
+        return f'<noscript data-k="0">{self.prose(3, 14)}</noscript>'
+
+    def link_bar(self) -> str:
+        """Links that stand in no block."""
+        return "\ue000" + self.r.choice([" ", " | ", "\n"]).join(f'<a href="/{self.word()}">{self.prose(1, 2)[:-1]}</a>' for _ in range(self.r.randint(3, 9)))
+
+    def loose_article(self) -> str:
+        """A heading or none, and text in no block or in paragraphs, with nothing around it."""
+        level = self.r.choice("123")
+        parts = [f'<h{level} data-k="1">{self.prose(1, 8)}</h{level}>'] if self.r.random() < 0.4 else []
+        for _ in range(self.r.randint(1, 4)):
+            if self.r.random() < 0.3:
+                parts.append(self.paragraph())
+            else:
+                most = self.r.choice([6, 60])
+                parts.append(self.r.choice(["<br>", "<br><br>", " "]).join(self.prose(1, most) for _ in range(self.r.randint(1, 3))))
+        text = "\ue001" + parts[0] if not parts[0].startswith("<") else parts[0]
+        return text + "".join(parts[1:])
+
     def paragraph(self) -> str:
         shape = self.r.random()
         text = self.prose(1, 12) if shape < 0.25 else self.prose(10, 120)
@@ -461,7 +500,7 @@ class _Writer:
     def article(self) -> str:
         tag = self.r.choice(["article", "article", "main", "div", "section"])
         parts = [f'<h1 data-k="1">{self.prose(3, 12)}</h1>'] if self.r.random() < 0.85 else []
-        for _ in range(self.r.choice([1, 2, 4, 8, 16])):
+        for _ in range(self.r.choice([1, 1, 2, 4, 8, 16])):
             kind = self.r.random()
             if kind < 0.72:
                 parts.append(self.paragraph())
@@ -490,9 +529,16 @@ class _Writer:
         return f'<{tag} data-k="1"{hint}>{inner}</{tag}>'
 
     def page(self) -> str:
-        top = [self.r.choice([self.nav, self.header, self.advert, self.notice, self.form])() for _ in range(self.r.randint(0, 4))]
+        if self.r.random() < 0.18:
+            bar = self.link_bar() if self.r.random() < 0.3 else ""
+            below = self.footer() if self.r.random() < 0.3 else ""
+            # a block between keeps the bar and the article apart
+            return "<html><body>" + bar + ("<hr><div data-k=0></div>" if bar else "") + self.loose_article() + below + "</body></html>"
+        top = [self.r.choice([self.nav, self.header, self.advert, self.notice, self.form, self.unscripted])() for _ in range(self.r.randint(0, 4))]
         low = [self.clutter() for _ in range(self.r.randint(0, 4))]
         middle = self.article()
+        if self.r.random() < 0.03:
+            middle = f'<noscript data-k="1">{middle}</noscript>'
         if self.r.random() < 0.25:
             middle = f'<main data-k="1">{middle}</main>' if not middle.startswith("<main") else middle
         if self.r.random() < 0.2:
@@ -503,23 +549,42 @@ class _Writer:
 _MARK = re.compile(r" data-k=\"?([01])\"?")
 
 
+def read_roles(page: str) -> tuple[list[Node], np.ndarray] | None:
+    """(nodes, 1 where a node is of the article) of a generated page; None where lenient reading merged its elements."""
+    marks = [int(m) for m in _MARK.findall(page)]
+    nodes = ordered(parse(_MARK.sub("", page)))
+    if sum(not n.loose for n in nodes) - 1 != len(marks):
+        return None
+    roles, at = np.ones(len(nodes), int), 0
+    for i, node in enumerate(nodes[1:], 1):
+        if not node.loose:
+            roles[i] = marks[at]
+            at += 1
+            continue
+        roles[i] = roles[node.parent.index]
+        for sign, role in _ROLES.items():
+            if any(sign in p for p in node.parts):
+                roles[i] = role
+                node.parts = [type(p)(p.replace(sign, "")) for p in node.parts]
+    return nodes, roles
+
+
 def training_rows(pages: int, seed: int) -> tuple[np.ndarray, np.ndarray]:
     writer = _Writer(seed)
     xs, ys = [], []
     for _ in range(pages):
-        page = writer.page()
-        truth = [int(m) for m in _MARK.findall(page)]
-        nodes = ordered(parse(_MARK.sub("", page)))
-        if len(nodes) - 1 != len(truth):
-            continue  # lenient reading merged elements; roles would be shifted
+        read = read_roles(writer.page())
+        if read is None:
+            continue
+        nodes, roles = read
         x, _ = features(nodes)
         xs.append(x[1:])
-        ys.append(truth)
+        ys.append(roles[1:])
     return np.concatenate(xs), np.concatenate(ys).astype(float)
 
 
 @lru_cache(maxsize=2)
-def trained(pages: int = 500, seed: int = 11) -> BoostedTrees:
+def trained(pages: int = 1600, seed: int = 11) -> BoostedTrees:
     return BoostedTrees().fit(*training_rows(pages, seed))
 
 

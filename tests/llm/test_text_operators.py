@@ -158,17 +158,6 @@ def test_html_held_out_pages_and_consistency():
     assert right / total > 0.9
 
 
-def test_decide_never_keeps_below_dropped():
-    nodes = html_main.ordered(html_main.parse("<div><p>a</p><div><p>b</p></div></div><ul><li>c</li></ul>"))
-    rng = np.random.default_rng(1)
-    for _ in range(50):
-        own = np.array([len("".join(p for p in n.parts if isinstance(p, str))) for n in nodes], float)
-        show = html_main.decide(nodes, rng.normal(0, 3, len(nodes)), own)
-        for n in nodes:
-            if n.parent is not None and n.parent.parent is not None and show[n.index]:
-                assert n.parent.hidden is False
-
-
 def test_toxicity_patterns():
     matcher = toxicity.Matcher(toxicity.Model())
 
