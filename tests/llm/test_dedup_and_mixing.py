@@ -184,3 +184,27 @@ def test_exact_surviving_keeps_texts_without_id_and_judges_by_text(spark):
     assert sorted(((r.doc_id or 0), (r.text or "").lower()) for r in kept.collect()) == [(0, ""), (0, "alone"), (0, "twice"), (1, "other"), (5, "q"), (8, "r")]
     again = exact_dedup.surviving(frame(spark, [doc(9, "alone"), doc(None, "twice"), doc(None, "new"), doc(10, "last")]), index)
     assert sorted((r.doc_id or 0, r.text) for r in again.collect()) == [(0, "new"), (10, "last")]
+
+
+def test_exact_repeated_runs_keep_what_the_first_kept(spark, tmp_path):
+    rows = [doc(1, "x"), doc(2, "X"), doc(3, "y"), doc(None, "z"), doc(3, "y")]
+    with exact_dedup.DigestIndex.open(spark, f"file://{tmp_path}/index", buckets=4) as index:
+        first = rows_of(exact_dedup.surviving(frame(spark, rows), index, batch="b1"), "doc_id", "text")
+        assert first == {(2, "X"), (3, "y"), (None, "z")}
+        assert rows_of(exact_dedup.surviving(frame(spark, rows), index, batch="b1"), "doc_id", "text") == first
+        # without the batch's name ids tell; a text without an id is known then
+        assert rows_of(exact_dedup.surviving(frame(spark, rows), index), "doc_id", "text") == {(2, "X"), (3, "y")}
+        other = exact_dedup.deduplicate(frame(spark, [doc(9, "x"), doc(8, "new"), doc(None, "z")]), index, batch="b2")
+        assert rows_of(other, "id", "keep_id", "kept") == {(9, 2, False), (8, 8, True), (None, None, False)}
+        assert index.rows().count() == 4
+        name = index.table
+    assert not spark.catalog.tableExists(name)
+
+
+def test_exact_long_texts_and_clashing_columns(spark):
+    long = "a long text " * 200_000
+    rows = [(1, long, 1, "k"), (2, long.upper(), 2, "k"), (2, long.upper(), 2, "k")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, keep_id int, known string")
+    with exact_dedup.new_index(spark) as index:
+        kept = exact_dedup.surviving(docs, index)
+        assert kept.columns == docs.columns and [r.doc_id for r in kept.collect()] == [2, 2]
