@@ -5,11 +5,16 @@ the version being the SHA-256 of the tokenizer file and of the options. Contents
 digest; of the distinct misses one row each is encoded and the new counts are appended, so a text is
 tokenized once, in whatever table and however often it occurs.
 
-Only digests and ids are joined; a text moves at most once, when its digest is a miss, and by a key
-that is unique (digest and row id), so copies of one text do not meet in a task.
+Only digests and ids are joined. A text whose digest is a miss and occurs once is encoded where it is
+read. Of texts that occur more often one is encoded; those move once, by a key that is unique (digest and
+row id), so copies of one text do not meet in a task. Two bounded Bloom filters, of the digests that occur
+more often or are known and of the misses, tell the texts apart; where the filters are full more texts
+move, and the join decides. The cache is read with one count for each digest, so a folder that two jobs
+appended the same digest to does no harm, nor does a repeated run.
 
 Defined cases: null counts as empty (0 tokens); an empty table gives an empty result; a null id is an
-id like any other; rows that repeat id and text are counted alike. No normalisation beyond null to
+id like any other; rows that repeat id and text are counted alike; very long texts are counted whole;
+only the named columns are read, so others of any name cannot clash. No normalisation beyond null to
 empty is applied, as the library's counts depend on the exact text.
 """
 
@@ -24,6 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relmix.llm.columns import narrow, small_batches, text_or_empty
+from relmix.llm.prefilter import Filter
 from relmix.llm.workers import tidy
 from relmix.session import scratch, stored
 
@@ -80,19 +86,26 @@ class TokenCountCache:
 
     def rows(self) -> DataFrame:
         schema = "digest binary, n_tokens bigint"
-        return self.spark.read.schema(schema).parquet(self.path) if self._exists() else self.spark.createDataFrame([], schema)
+        if not self._exists():
+            return self.spark.createDataFrame([], schema)
+        return self.spark.read.schema(schema).parquet(self.path).groupBy("digest").agg(F.first("n_tokens").alias("n_tokens"))
 
     def count(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
         """(id, n_bytes, n_tokens) for every row; the cache learns the misses."""
         texts = narrow(docs, id=id_col, text=text_col).select("id", text_or_empty("text").alias("text"))
         digested = texts.withColumn("digest", F.unhex(F.sha2("text", 256)))
         keys = stored(digested.select("id", "digest", F.octet_length("text").cast("bigint").alias("n_bytes")), "count-digests")
-        one = keys.groupBy("digest").agg(F.min("id").alias("id"))
-        if self._exists():
-            one = one.join(self.rows(), "digest", "left_anti")
-        one = one.withColumnRenamed("digest", "d").withColumnRenamed("id", "i")
-        misses = digested.join(one, (F.col("digest") == F.col("d")) & F.col("id").eqNullSafe(F.col("i"))).select("digest", "text")
-        counts = small_batches(misses).mapInArrow(tidy(_count(self.tokenizer_path)), "digest binary, n_tokens bigint")
+        groups = keys.groupBy("digest").agg(F.min("id").alias("i"), F.count(F.lit(1)).alias("n"))
+        known = self.rows().select("digest", F.lit(True).alias("known"))
+        groups = stored(groups.join(known, "digest", "left").withColumnRenamed("digest", "d"), "count-groups")
+        missed = groups.filter("known IS NULL")
+        moving = Filter(groups.filter("n > 1 OR known").select("d"))
+        alone = moving.impossible(digested, F.col("digest")).select("digest", "text")
+        some = Filter(missed.select("d")).possible(moving.possible(digested, F.col("digest")), F.col("digest"))
+        one = some.join(missed.hint("merge"), (F.col("digest") == F.col("d")) & F.col("id").eqNullSafe(F.col("i"))).select("digest", "text")
+        run = tidy(_count(self.tokenizer_path))
+        counts = [small_batches(part).mapInArrow(run, "digest binary, n_tokens bigint") for part in (alone, one)]
+        counts = counts[0].unionAll(counts[1])
         # rows that repeat a missed (id, text) were each counted: the cache gets one count for each digest
         counts.groupBy("digest").agg(F.first("n_tokens").alias("n_tokens")).write.mode("append").parquet(self.path)
         return keys.join(self.rows(), "digest").select("id", "n_bytes", "n_tokens")
