@@ -10,17 +10,24 @@
 4. The components of those edges hold every link whose ends share a band. In each component links
    are confirmed on the full shingle sets, every pair that is not yet connected, and again only a
    spanning forest is kept. The components of the confirmed links are the result.
-Large buckets and components are cut into blocks; each pair of blocks is one unit of work, so no
-task ever holds an unbounded group. Nothing is capped: every pair in a bucket is estimated, every
-unconnected pair in a component is confirmed.
+Large buckets and components are cut into blocks, so no task ever holds an unbounded group. First each
+block, with the group's first member beside it, is compared within itself; near copies are connected
+then. Members that are still apart from most of their group are compared, in pairs of blocks, with all
+its members they are not connected to. Nothing is capped: every unconnected pair of a bucket is
+estimated, every unconnected pair of a component is confirmed; a group costs its size times the number
+of its members that stay apart.
+
+Texts of candidates are read a second time; a bounded Bloom filter of their ids leaves the others out
+before the exchange.
 
 A link of similarity s is missed only if all bands differ: (1 - s**5)**25, which is 4e-7 at 0.85 and
 5e-5 at 0.8, or if the estimate is more than the margin too low (4.5 standard deviations).
 
 Defined cases: null or blank text has an empty set and no link; a null id is in no component
 (component_id null, not kept); the id is a key: rows that repeat it are one node; an empty table
-gives an empty result; similarity is compared in integers (den * common >= num * union). Ids are
-integers; an id that is none counts as null.
+gives an empty result; similarity is compared in integers (den * common >= num * union), ties link. Ids
+are integers; an id that is none counts as null. Very long texts are read whole; only the named columns
+are read, so others of any name cannot clash.
 """
 
 from __future__ import annotations
@@ -34,6 +41,7 @@ from pyspark.sql import functions as F
 
 from relmix.llm.columns import narrow, small_batches
 from relmix.llm.components import components
+from relmix.llm.prefilter import Filter
 from relmix.llm.textarrays import batch_shingles, mixed
 from relmix.llm.workers import tidy
 from relmix.session import stored
@@ -41,7 +49,7 @@ from relmix.session import stored
 HASHES, BANDS, ROWS, BITS = 128, 25, 5, 4
 CELLS = 64 // BITS
 MARGIN = 0.15
-BUCKET_BLOCK = 1024  # members of a bucket in one block
+BUCKET_BLOCK = 512  # members of a group in one block
 SHINGLE_BLOCK = 65_536  # shingles of a component in one block
 
 _RNG = np.random.default_rng(977)
@@ -102,9 +110,11 @@ def _features(width: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Re
     return run
 
 
-def _forest(rows: int, near: Callable[[int, np.ndarray], np.ndarray], split: int | None) -> list[tuple[int, int]]:
-    """Edges of a spanning forest of the pairs that ``near`` accepts; with ``split`` only pairs across it."""
-    label = np.arange(rows)
+def _forest(label: np.ndarray, near: Callable[[int, np.ndarray], np.ndarray], split: int | None) -> list[tuple[int, int]]:
+    """Edges of a spanning forest of the pairs that ``near`` accepts; with ``split`` only pairs across it.
+
+    Rows of one label are connected already."""
+    rows, label = len(label), label.copy()
     found = []
     for i in range(rows if split is None else split):
         other = np.arange(i + 1 if split is None else split, rows)
@@ -156,13 +166,13 @@ def _edges(u: list, v: list) -> pa.RecordBatch:
 
 
 def _bucket_edges(least: float) -> Callable:
-    """Rows (key, i, j, side, id, sig) sorted by key and blocks -> candidate edges."""
+    """Rows (key, i, j, side, id, label, sig) sorted by key and blocks -> candidate edges."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in _groups(batches):
             table = table.combine_chunks()
-            side, ids = table.column(3).to_numpy(), table.column(4).to_numpy()
-            sig = table.column(5).combine_chunks().flatten().to_numpy().view(np.uint64).reshape(len(ids), -1)
+            side, ids, label = (table.column(i).to_numpy() for i in (3, 4, 5))
+            sig = table.column(6).combine_chunks().flatten().to_numpy().view(np.uint64).reshape(len(ids), -1)
             bounds = _bounds(table)
             size = np.diff(bounds)
             two = bounds[:-1][size == 2]
@@ -170,11 +180,10 @@ def _bucket_edges(least: float) -> Callable:
             ok = two[estimated(sig[two], sig[two + 1]) >= least] if len(two) else two
             u, v = ids[ok].tolist(), ids[ok + 1].tolist()
             for a, n in zip(bounds[:-1][size > 2], size[size > 2], strict=True):
-                s, own = sig[a : a + n], ids[a : a + n]
-                order = np.argsort(side[a : a + n], kind="stable")
-                s, own = s[order], own[order]
+                order = a + np.argsort(side[a : a + n], kind="stable")
+                s, own = sig[order], ids[order]
                 across = int((side[a : a + n] == 0).sum()) if table.column(1)[int(a)].as_py() != table.column(2)[int(a)].as_py() else None
-                for i, j in _forest(n, lambda i, o, s=s: estimated(s[i], s[o]) >= least, across):
+                for i, j in _forest(label[order], lambda i, o, s=s: estimated(s[i], s[o]) >= least, across):
                     u.append(own[i])
                     v.append(own[j])
             yield _edges(u, v)
@@ -183,13 +192,13 @@ def _bucket_edges(least: float) -> Callable:
 
 
 def _confirmed_edges(num: int, den: int) -> Callable:
-    """Rows (component, i, j, side, id, set as bytes) sorted by component and blocks -> confirmed edges."""
+    """Rows (component, i, j, side, id, label, set as bytes) sorted by component and blocks -> confirmed edges."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for table in _groups(batches):
             bounds = _bounds(table)
-            side, ids = table.column(3).to_numpy(), table.column(4).to_numpy()
-            blobs = table.column(5)
+            side, ids, label = (table.column(i).to_numpy() for i in (3, 4, 5))
+            blobs = table.column(6)
             u, v = [], []
             for a, b in zip(bounds[:-1].tolist(), bounds[1:].tolist(), strict=True):
                 if b - a < 2:
@@ -208,7 +217,7 @@ def _confirmed_edges(num: int, den: int) -> Callable:
                     return den * common >= num * (size[i] + size[other] - common)
 
                 across = int((side[a:b] == 0).sum()) if table.column(1)[a].as_py() != table.column(2)[a].as_py() else None
-                for i, j in _forest(b - a, near, across):
+                for i, j in _forest(label[order], near, across):
                     u.append(ids[order[i]])
                     v.append(ids[order[j]])
             yield _edges(u, v)
@@ -217,25 +226,70 @@ def _confirmed_edges(num: int, den: int) -> Callable:
 
 
 def _sets(width: int) -> Callable:
-    """(component, blocks, id, text) -> the same with the text's shingle set as bytes."""
+    """(bigint columns, text) -> the same with the text's shingle set as bytes."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for a, b, hashes, offsets in batch_shingles(batch.column(3), width):
+            for a, b, hashes, offsets in batch_shingles(batch.column(batch.num_columns - 1), width):
                 raw = hashes.tobytes()
                 blobs = [raw[8 * x : 8 * y] for x, y in zip(offsets[:-1].tolist(), offsets[1:].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(a, b - a) for i in range(3)), pa.array(blobs, pa.binary())], names=["comp", "nb", "id", "sh"])
+                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(a, b - a) for i in range(batch.num_columns - 1)), pa.array(blobs, pa.binary())], names=[*batch.schema.names[:-1], "sh"])
 
     return run
 
 
-def _block_pairs(rows: DataFrame, key: str, blocks: str, *rest: str) -> DataFrame:
-    """Deal each row of a group of ``blocks`` blocks to every pair of blocks that has its own."""
-    own = F.pmod(F.xxhash64("id", F.col(key)), F.col(blocks))
-    spread = rows.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col(blocks).cast("bigint") - 1)))
-    side = F.when(F.col("own") <= F.col("other"), 0).otherwise(1)
-    dealt = spread.select(key, F.least("own", "other").alias("bi"), F.greatest("own", "other").alias("bj"), side.alias("side"), "id", *rest)
-    return dealt.repartition(F.col(key), F.col("bi"), F.col("bj")).sortWithinPartitions(key, "bi", "bj", "side", "id")
+def _shingled(rows: DataFrame, width: int) -> DataFrame:
+    return rows.mapInArrow(tidy(_sets(width)), ", ".join(f"{c} bigint" for c in rows.columns[:-1]) + ", sh binary")
+
+
+def _own_block(key: str, blocks: str, seed: int = 0):
+    return F.pmod(F.xxhash64("id", F.col(key), F.lit(seed)), F.col(blocks).cast("bigint"))
+
+
+def _dealt(rows: DataFrame) -> DataFrame:
+    return rows.repartition(F.col("key"), F.col("bi"), F.col("bj")).sortWithinPartitions("key", "bi", "bj", "side", "id")
+
+
+def _blocks(rows: DataFrame, payload: str) -> DataFrame:
+    """(key, nb, first, id, payload) -> each row in its block of the group, the group's first member in every block."""
+    own = _own_block("key", "nb")
+    every = F.sequence(F.lit(0).cast("bigint"), F.col("nb").cast("bigint") - 1)
+    at = F.explode(F.when(F.col("id") == F.col("first"), every).otherwise(F.array(own)))
+    return _dealt(rows.select("key", at.alias("bi"), "id", payload).select("key", "bi", F.col("bi").alias("bj"), F.lit(0).alias("side"), "id", F.col("id").alias("label"), payload))
+
+
+def _n_blocks(members, shingles=None):
+    """Blocks for so many members, and shingles where full sets are compared."""
+    by_members = F.ceil(members / BUCKET_BLOCK)
+    return by_members if shingles is None else F.greatest(by_members, F.ceil(shingles / SHINGLE_BLOCK))
+
+
+def _apart(rows: DataFrame, joined: DataFrame, shingles: str | None = None) -> DataFrame | None:
+    """Groups of several blocks whose members are not all connected: (key, id, label, most, nb, nr), None without any.
+
+    ``most`` is the label that most members of the group have; ``nr`` blocks hold the others, ``nb`` those with it.
+    """
+    several = rows.filter("nb > 1").select("key", "id", (F.col(shingles) if shingles else F.lit(0)).cast("bigint").alias("w"))
+    labelled = several.join(joined.withColumnRenamed("node", "id"), "id", "left").select("key", "id", "w", F.coalesce("root", "id").alias("label"))
+    labelled = stored(labelled, "near-labels")
+    counts = labelled.groupBy("key", "label").agg(F.count(F.lit(1)).alias("n"), F.sum("w").alias("w"))
+    most = F.max_by(F.struct("label", "n", "w"), F.struct("n", -F.col("label")))
+    groups = counts.groupBy("key").agg(F.count(F.lit(1)).alias("labels"), most.alias("most"), F.sum("n").alias("n"), F.sum("w").alias("w")).filter("labels > 1")
+    of_most, of_rest = (_n_blocks(n, w) for n, w in ((F.col("most.n"), F.col("most.w")), (F.col("n") - F.col("most.n"), F.col("w") - F.col("most.w"))))
+    groups = stored(groups.select("key", F.col("most.label").alias("most"), of_most.alias("nb"), of_rest.alias("nr")), "near-apart")
+    return None if groups.isEmpty() else labelled.join(groups, "key").select("key", "id", "label", "most", "nb", "nr")
+
+
+def _block_pairs(rows: DataFrame, payload: str) -> DataFrame:
+    """Rows of ``_apart`` with a payload: the members that are apart meet each other and all the rest, in pairs of blocks."""
+    upto = lambda n: F.sequence(F.lit(0).cast("bigint"), n.cast("bigint") - 1)
+    nr = F.col("nr").cast("bigint")
+    rest = rows.filter("label != most").withColumn("own", _own_block("key", "nr", 1)).withColumn("other", F.explode(upto(F.col("nr") + F.col("nb"))))
+    low, high = F.least("own", "other"), F.greatest("own", "other")
+    rest = rest.select("key", low.alias("bi"), high.alias("bj"), F.when(F.col("own") <= F.col("other"), 0).otherwise(1).alias("side"), "id", "label", payload)
+    main = rows.filter("label = most").withColumn("bi", F.explode(upto(F.col("nr"))))
+    main = main.select("key", "bi", (nr + _own_block("key", "nb")).alias("bj"), F.lit(1).alias("side"), "id", "label", payload)
+    return _dealt(rest.unionAll(main))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = 5, num: int = 80, den: int = 100) -> DataFrame:
@@ -245,24 +299,37 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     usable = rows.filter("n_sh > 0 AND id IS NOT NULL")
     classes = usable.groupBy("d1", "d2", "n_sh").agg(F.min("id").alias("rep"), F.first("bands").alias("bands"), F.first("sig").alias("sig"))
     reps = stored(classes, "near-classes")
+    edges_of = lambda dealt, compare: dealt.mapInArrow(tidy(compare), "u bigint, v bigint")
 
     # buckets: band keys that several representatives share, one for each set of members
     keyed = reps.select(F.explode("bands").alias("key"), F.col("rep").alias("id"))
     shared = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("first"), F.expr("bit_xor(xxhash64(id))").alias("x1"), F.expr("bit_xor(xxhash64(id, 7))").alias("x2")).filter("n > 1")
-    shared = shared.groupBy("n", "first", "x1", "x2").agg(F.min("key").alias("key")).select("key", F.ceil(F.col("n") / BUCKET_BLOCK).alias("nb"))
-    members = keyed.join(shared, "key").join(reps.select(F.col("rep").alias("id"), "sig"), "id")
-    candidates = _block_pairs(members, "key", "nb", "sig").mapInArrow(tidy(_bucket_edges(num / den - MARGIN)), "u bigint, v bigint")
+    shared = shared.groupBy("n", "first", "x1", "x2").agg(F.min("key").alias("key")).select("key", "first", _n_blocks(F.col("n")).alias("nb"))
+    members = stored(keyed.join(shared, "key"), "near-members")
+    sigs = reps.select(F.col("rep").alias("id"), "sig")
+    estimate = _bucket_edges(num / den - MARGIN)
+    candidates = stored(edges_of(_blocks(members.join(sigs, "id"), "sig"), estimate), "near-edges")
     grouped = components(candidates)
+    apart = _apart(members, grouped)
+    if apart is not None:
+        grouped = components(candidates.unionAll(edges_of(_block_pairs(apart.join(sigs, "id"), "sig"), estimate)))
 
     # confirm on full sets inside each component of candidates
     held = stored(grouped.join(reps.select(F.col("rep").alias("node"), "n_sh"), "node"), "near-candidates")
-    sizes = held.groupBy("root").agg(F.ceil(F.sum("n_sh") / SHINGLE_BLOCK).alias("nb"))
-    chosen = held.join(sizes, "root").select(F.col("root").alias("comp"), "nb", F.col("node").alias("id"))
+    sizes = held.groupBy("root").agg(_n_blocks(F.count(F.lit(1)), F.sum("n_sh")).alias("nb"))
+    chosen = held.join(sizes, "root").select(F.col("root").alias("key"), "nb", F.col("root").alias("first"), F.col("node").alias("id"), "n_sh")
+    likely = Filter(held.select("node")).possible(texts, F.col("id"))
     # merged at every size: the candidates grow with the data, so neither side may be broadcast
-    with_text = texts.join(chosen.hint("merge"), "id").select("comp", "nb", "id", "text")
-    sets = with_text.mapInArrow(tidy(_sets(width)), "comp bigint, nb bigint, id bigint, sh binary")
-    links = _block_pairs(sets, "comp", "nb", "sh").mapInArrow(tidy(_confirmed_edges(num, den)), "u bigint, v bigint")
+    shingled = lambda found, kept, *names: _shingled(found.join(kept.hint("merge"), "id").select(*names, "text"), width)
+    confirm = _confirmed_edges(num, den)
+    links = stored(edges_of(_blocks(shingled(likely, chosen, "key", "nb", "first", "id"), "sh"), confirm), "near-links")
     linked = components(links)
+    apart = _apart(chosen, linked, "n_sh")
+    if apart is not None:
+        # the same texts once more, those of the groups that are still apart
+        few = Filter(apart.select("id")).possible(texts, F.col("id"))
+        sets = shingled(few, apart, "key", "nb", "nr", "id", "label", "most")
+        linked = components(links.unionAll(edges_of(_block_pairs(sets, "sh"), confirm)))
 
     roots = reps.select("d1", "d2", "n_sh", "rep").join(linked.withColumnRenamed("node", "rep"), "rep", "left").select("d1", "d2", "n_sh", F.coalesce("root", "rep").alias("root"))
     out = rows.select("id", "n_sh", "d1", "d2").join(roots, ["d1", "d2", "n_sh"], "left")
