@@ -2,7 +2,15 @@
 
 Each stage takes (spark, docs, sf_dir) and returns a DataFrame; all but the last return the columns
 of documents. Between stages the rows are written as Parquet and read again. Stages see all their
-predecessor kept. Rows with a null text count as empty; an empty table passes through.
+predecessor kept.
+
+Defined cases, stage by stage: a null text counts as empty and is read whole at any length, like every
+text; an empty table passes through; columns beside doc_id, text and source are carried along whatever
+their names, and only those three are read. Rows without an id: toxicity scores them, exact dedup keeps
+one of each text, near dedup keeps all, mixing deals them by the empty id, encoding encodes them.
+Repeated rows (same id and text): toxicity treats them alike, both dedup stages keep or drop them
+together, mixing takes them alike, encoding encodes each. Ties: a score of 0.5 is toxic, a similarity of
+exactly 0.8 links.
 """
 
 from __future__ import annotations
@@ -22,7 +30,8 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of equal texts the one with the largest id stays."""
-    return exact_dedup.surviving(docs, exact_dedup.new_index(spark))
+    with exact_dedup.new_index(spark) as index:
+        return exact_dedup.surviving(docs, index)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
