@@ -3,13 +3,15 @@
 A specification has a start query, a chain of local queries (each a SQL text that may use the
 recursive relation and earlier locals), a next query, one merge rule, a stop rule and a final query.
 
-Modes, all with equal results where they apply:
+Modes, with equal rows and rounds where they apply (a mode refuses what it cannot do):
 * ``loop``: driver loop; the recursive relation is small, is collected and comes back as literal
   rows each round, so the plan never grows (``MOST_STATE`` rows bound it);
-* ``script``: the same loop compiled to one SQL script whose state is an array-of-structs variable;
-* ``dataframe``: the state stays a DataFrame and is written to the shared folder every round, for
-  large recursive relations;
-* ``cte``: the engine's own recursive query, for specifications that only append;
+* ``script``: the same loop compiled to one SQL script whose state is an array-of-structs variable
+  (not for DISTINCT ROWS);
+* ``dataframe``: the state stays a DataFrame in the shared folder, for large recursive relations; an
+  overwriting merge writes it every round, an appending one writes the new rows;
+* ``cte``: the engine's own recursive query, for specifications that only append and have no rule but
+  the cap; where the cap cuts rows off the engine raises an error instead of returning a part;
 * ``client``: one statement per step, each result materialised: the baseline of a host-language loop.
 """
 
@@ -19,6 +21,8 @@ import re
 import uuid
 from collections.abc import Callable
 from dataclasses import dataclass, field, replace
+from functools import reduce
+from operator import and_
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -194,6 +198,14 @@ class Run:
         self.result: DataFrame | None = None
 
 
+def _small(df: DataFrame) -> list:
+    """The rows of a small relation; no more than the bound and one ever reach the driver."""
+    rows = df.limit(MOST_STATE + 1).collect()
+    if len(rows) > MOST_STATE:
+        raise IterationError(f"the state has over {MOST_STATE} rows: use mode dataframe")
+    return rows
+
+
 def _moved(old: list, new: list, keys: tuple[str, ...], tolerance: float) -> bool:
     if len(old) != len(new):
         return True
@@ -208,6 +220,23 @@ def _moved(old: list, new: list, keys: tuple[str, ...], tolerance: float) -> boo
     return False
 
 
+def _moved_frames(old: DataFrame, new: DataFrame, spec: IterationSpec) -> bool:
+    """The same by a join: a new row without an old partner that equals it, numbers within the tolerance."""
+    names = new.columns
+    before = old.toDF(*[f"__old_{c}" for c in names])
+    keys = spec.keys or tuple(names)
+    same = reduce(and_, [F.col(f"`{k}`").eqNullSafe(F.col(f"`__old_{k}`")) for k in keys])
+    for f in new.schema:
+        if f.name in keys:
+            continue
+        a, b = F.col(f"`{f.name}`"), F.col(f"`__old_{f.name}`")
+        near = a.eqNullSafe(b)
+        if isinstance(f.dataType, (T.DoubleType, T.FloatType)):
+            near = near | F.coalesce(F.abs(a - b) <= spec.stop.tolerance, F.lit(False))
+        same = same & near
+    return not new.join(before, same, "left_anti").isEmpty() or new.count() != old.count()
+
+
 def run(spark: SparkSession, spec: IterationSpec, mode: str = "loop", on_round: Callable[[int, DataFrame], None] | None = None) -> Run:
     validate(spec)
     modes = {"loop": _run_loop, "client": _run_client, "dataframe": _run_dataframe, "cte": _run_cte, "script": _run_script}
@@ -226,7 +255,7 @@ def _run_loop(spark: SparkSession, spec: IterationSpec, on_round) -> Run:
     out = Run()
     state = _started(spark, spec)
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in state.schema])
-    rows = state.collect()
+    rows = _small(state)
     view = {spec.name: f"__{spec.name}_{uuid.uuid4().hex[:8]}"}
     mapping = view | {n: f"__{n}_{uuid.uuid4().hex[:8]}" for n, _ in spec.locals}
     delta = rows
@@ -236,7 +265,7 @@ def _run_loop(spark: SparkSession, spec: IterationSpec, on_round) -> Run:
         current.createOrReplaceTempView(view[spec.name])
         for name, query in local_order(spec):
             spark.sql(_renamed(query, mapping)).createOrReplaceTempView(mapping[name])
-        got = _cast(spark.sql(_renamed(spec.next, mapping)), schema, "the next query").collect()
+        got = _small(_cast(spark.sql(_renamed(spec.next, mapping)), schema, "the next query"))
         out.rounds += 1
         out.statements += 1
         if not got:
@@ -290,7 +319,7 @@ def _run_stored(spark: SparkSession, spec: IterationSpec, on_round, every_step:
 
     state, path = keep(_started(spark, spec), "state")
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in state.schema])
-    delta, delta_path = state, None
+    delta, parts = state, [path]  # an overwriting merge writes the whole relation, an appending one a part more
     mapping = {spec.name: f"__{spec.name}_{uuid.uuid4().hex[:8]}"} | {n: f"__{n}_{uuid.uuid4().hex[:8]}" for n, _ in spec.locals}
     while out.rounds < spec.stop.rounds:
         (state if spec.merge == "replace" else delta).createOrReplaceTempView(mapping[spec.name])
@@ -308,13 +337,18 @@ def _run_stored(spark: SparkSession, spec: IterationSpec, on_round, every_step:
         out.rounds += 1
         if got.isEmpty():
             break
-        merged, merged_path = keep(_merged(spec, state, got) if spec.merge != "distinct" else append_merge(state, got), "state")
-        moved = True
-        if spec.stop.unchanged:
-            moved = not merged.exceptAll(state).isEmpty() if not spec.stop.tolerance else _moved(state.collect(), merged.collect(), spec.keys, spec.stop.tolerance)
-        for p in [*done, path, *([delta_path] if delta_path else [])]:
+        if spec.merge == "replace":
+            merged, merged_path = keep(overwrite_merge(state, got, list(spec.keys)), "state")
+            moved = _moved_frames(state, merged, spec) if spec.stop.unchanged else True
+            done += [got_path, *parts]
+            parts = [merged_path]
+        else:
+            moved = True  # there are new rows
+            parts.append(got_path)
+            merged = spark.read.schema(schema).parquet(*parts)
+        for p in done:
             remove(spark, p)
-        state, path, delta, delta_path = merged, merged_path, got, got_path
+        state, delta = merged, got
         if on_round:
             on_round(out.rounds, state)
         if not moved or (spec.stop.until and state.filter(spec.stop.until).limit(1).count()):
@@ -333,6 +367,8 @@ def _run_client(spark: SparkSession, spec: IterationSpec, on_round) -> Run:
 def _run_cte(spark: SparkSession, spec: IterationSpec, on_round) -> Run:
     if spec.merge != "append":
         raise IterationError("the engine's recursive query only appends")
+    if spec.stop.until or spec.stop.unchanged:
+        raise IterationError("the engine's recursive query stops by itself or at the cap only")
     out = Run()
     state = _started(spark, spec)
     body = spec.next
@@ -345,15 +381,20 @@ def _run_cte(spark: SparkSession, spec: IterationSpec, on_round) -> Run:
     return out
 
 
-def compile_script(spec: IterationSpec, schema: T.StructType) -> str:
-    """The whole iteration as one SQL script; the state is a variable of type ARRAY<STRUCT>."""
+_SEVERAL = "several new rows for one key"
+
+
+def compile_script(spec: IterationSpec, schema: T.StructType, rounds_into: str | None = None) -> str:
+    """The whole iteration as one SQL script; the state is a variable of type ARRAY<STRUCT>.
+
+    ``rounds_into`` names a session variable that receives the number of rounds."""
     if spec.merge == "distinct":
         raise IterationError("a script supports replace and append")
     fields = ", ".join(f"{f.name}: {f.dataType.simpleString()}" for f in schema)
     names = ", ".join(schema.names)
     pack = f"collect_list(named_struct({', '.join(f'{chr(39)}{n}{chr(39)}, {n}' for n in schema.names)}))"
     tag = uuid.uuid4().hex[:8]
-    state, fresh, delta, count = (f"__{x}_{tag}" for x in ("state", "fresh", "delta", "round"))
+    state, fresh, delta, count, old, on = (f"__{x}_{tag}" for x in ("state", "fresh", "delta", "round", "old", "on"))
     source = state if spec.merge == "replace" else delta
     ctes = [f"{spec.name} AS (SELECT e.* FROM (SELECT explode({source}) AS e))"] + [f"{n} AS ({q})" for n, q in local_order(spec)]
     typed = ", ".join(f"CAST({n} AS {f.dataType.simpleString()}) AS {n}" for n, f in zip(schema.names, schema, strict=True))
@@ -361,9 +402,23 @@ def compile_script(spec: IterationSpec, schema: T.StructType) -> str:
     if spec.merge == "replace":
         same = " AND ".join(f"o.{k} = x.{k}" for k in spec.keys)
         merged = f"concat(filter({state}, o -> NOT exists({fresh}, x -> {same})), {fresh})"
+        keys = ", ".join(f"x.{k}" for k in spec.keys)
+        check = f"size(array_distinct(transform({fresh}, x -> struct({keys})))) < size({fresh})"
+        checked = f"(SELECT CASE WHEN {check} THEN raise_error('{_SEVERAL} of {', '.join(spec.keys)}') ELSE {merged} END)"
     else:
-        merged = f"concat({state}, {fresh})"
-    until = f" AND NOT exists({state}, s -> {_qualified(spec.stop.until, schema.names)})" if spec.stop.until else ""
+        checked = merged = f"concat({state}, {fresh})"
+    goes_on = [f"size({fresh}) > 0"]
+    if spec.stop.until:
+        goes_on.append(f"NOT exists({state}, s -> {_qualified(spec.stop.until, schema.names)})")
+    if spec.stop.unchanged and spec.merge == "replace":
+        equal = []
+        for f in schema:
+            near = f"x.{f.name} <=> o.{f.name}"
+            if f.name not in spec.keys and isinstance(f.dataType, (T.DoubleType, T.FloatType)):
+                near = f"({near} OR coalesce(abs(x.{f.name} - o.{f.name}) <= {spec.stop.tolerance!r}D, false))"
+            equal.append(near)
+        moved = f"exists({state}, x -> NOT exists({old}, o -> {' AND '.join(equal)}))"
+        goes_on.append(f"(size({state}) <> size({old}) OR {moved})")
     final = spec.final or f"SELECT * FROM {spec.name}"
     last = f"WITH {spec.name} AS (SELECT e.* FROM (SELECT explode({state}) AS e)) {final}"
     columns = f"({', '.join(spec.columns)})" if spec.columns else f"({names})"
@@ -372,15 +427,20 @@ def compile_script(spec: IterationSpec, schema: T.StructType) -> str:
   DECLARE {state} ARRAY<STRUCT<{fields}>>;
   DECLARE {fresh} ARRAY<STRUCT<{fields}>>;
   DECLARE {delta} ARRAY<STRUCT<{fields}>>;
+  DECLARE {old} ARRAY<STRUCT<{fields}>>;
+  DECLARE {on} BOOLEAN DEFAULT true;
   SET {state} = (WITH __s{columns} AS ({spec.start}) SELECT {pack} FROM (SELECT {typed} FROM __s));
   SET {fresh} = {state};
   SET {delta} = {state};
-  WHILE {count} < {spec.stop.rounds} AND size({fresh}) > 0{until} DO
+  WHILE {on} AND {count} < {spec.stop.rounds} DO
     SET {fresh} = ({body});
     SET {delta} = {fresh};
-    SET {state} = {merged};
+    SET {old} = {state};
+    SET {state} = {checked};
     SET {count} = {count} + 1;
+    SET {on} = {' AND '.join(goes_on)};
   END WHILE;
+  {f"SET {rounds_into} = {count};" if rounds_into else ""}
   {last};
 END"""
 
@@ -393,8 +453,17 @@ def _run_script(spark: SparkSession, spec: IterationSpec, on_round) -> Run:
     out = Run()
     schema = T.StructType([T.StructField(f.name, f.dataType, True) for f in _started(spark, spec).schema])
     out.statements = 1
-    out.result = spark.sql(compile_script(spec, schema))
-    out.rounds = spec.stop.rounds
+    variable = f"__rounds_{uuid.uuid4().hex[:8]}"
+    spark.sql(f"DECLARE VARIABLE {variable} INT DEFAULT 0")
+    try:
+        out.result = spark.sql(compile_script(spec, schema, variable))
+        out.rounds = spark.sql(f"SELECT {variable}").head()[0]
+    except Exception as e:
+        if _SEVERAL in str(e):
+            raise IterationError(f"{_SEVERAL} of {spec.keys}") from e
+        raise
+    finally:
+        spark.sql(f"DROP TEMPORARY VARIABLE {variable}")
     return out
 
 
