@@ -27,6 +27,13 @@ class RegressionStats:
     gate_xx: np.ndarray
     gate_xt: np.ndarray
 
+    def to_json(self) -> dict:
+        return {"n": self.n} | {f: getattr(self, f).tolist() for f in ("s0", "s2", "gate_xx", "gate_xt")}
+
+    @classmethod
+    def from_json(cls, d: dict) -> RegressionStats:
+        return cls(d["n"], *(np.array(d[f]) for f in ("s0", "s2", "gate_xx", "gate_xt")))
+
     def _with(self, other: RegressionStats, sign: int) -> RegressionStats:
         return RegressionStats(*(getattr(self, f) + sign * getattr(other, f) for f in ("n", "s0", "s2", "gate_xx", "gate_xt")))
 
@@ -86,12 +93,33 @@ def stats_of(data: DataFrame, family: LinearMixture, params: Params) -> Regressi
     return RegressionStats(float(parts[0][0]), *(p.reshape(s) for p, s in zip(parts[1:], shapes[1:], strict=True)))
 
 
-def sweep(stats: RegressionStats, x: np.ndarray, family: LinearMixture, start: Params, rounds: int, seed: int | None = 0, batch_size: int = 1) -> tuple[RegressionStats, Params]:
-    """As for Gaussian mixtures: contributions under ``start`` are replaced row by row (or batch by batch)."""
-    now = stats.params(family, start)
+def parallel_sweep(stats: RegressionStats, rows: DataFrame, family: LinearMixture, start: Params, rounds: int, seed: int = 0, batch_size: int = 64) -> tuple[RegressionStats, Params]:
+    """Every partition sweeps its own rows against its own copy of the statistics; the deltas are added up."""
+    first = stats.params(family, start)
+    names = ("s0", "s2", "gate_xx", "gate_xt")
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        blocks = [np.column_stack([b.column(i).to_numpy(zero_copy_only=False) for i in range(b.num_columns)]) for b in batches if b.num_rows]
+        if blocks:
+            moved, _ = sweep(stats, np.concatenate(blocks), family, start, rounds, seed, batch_size, first)
+            flat = np.concatenate([np.ravel(getattr(moved, f) - getattr(stats, f)) for f in names])
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat))), pa.array(flat)], names=["i", "v"])
+
+    flat = np.concatenate([np.ravel(getattr(stats, f)) for f in names])
+    for r in rows.select(*family.columns).mapInArrow(run, "i bigint, v double").groupBy("i").sum("v").collect():
+        flat[r[0]] += r[1]
+    shapes = [getattr(stats, f).shape for f in names]
+    parts = np.split(flat, np.cumsum([int(np.prod(s)) for s in shapes])[:-1])
+    moved = RegressionStats(stats.n, *(p.reshape(s) for p, s in zip(parts, shapes, strict=True)))
+    return moved, moved.params(family, start)
+
+
+def sweep(stats: RegressionStats, x: np.ndarray, family: LinearMixture, start: Params, rounds: int, seed: int | None = 0, batch_size: int = 1, params: Params | None = None, before: np.ndarray | None = None) -> tuple[RegressionStats, Params]:
+    """As for Gaussian mixtures: contributions under ``start`` (or the shares ``before``) are replaced row by row (or batch by batch)."""
+    now = params or stats.params(family, start)
     if not len(x):
         return stats, now
-    before = _responsibilities(x, family, start)
+    before = _responsibilities(x, family, start) if before is None else before
     rng = np.random.default_rng(seed)
     for _ in range(rounds):
         order = np.arange(len(x)) if seed is None else rng.permutation(len(x))

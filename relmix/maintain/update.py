@@ -30,13 +30,15 @@ def _responsibilities(x: np.ndarray, family: Gaussian, params: Params) -> np.nda
     return e / e.sum(1, keepdims=True)
 
 
-def sweep(stats: SuffStats, x: np.ndarray, family: Gaussian, start: Params, rounds: int, seed: int | None = 0, batch_size: int = 1, params: Params | None = None) -> tuple[SuffStats, Params]:
-    """``start``: the parameters under which the rows' present contributions were computed. ``seed`` None keeps the given order."""
+def sweep(stats: SuffStats, x: np.ndarray, family: Gaussian, start: Params, rounds: int, seed: int | None = 0, batch_size: int = 1, params: Params | None = None, before: np.ndarray | None = None) -> tuple[SuffStats, Params]:
+    """``start``: the parameters under which the rows' present contributions were computed. ``seed`` None keeps the given order.
+
+    ``before``: the rows' present shares, where they are not those under ``start``; it is left holding the new ones."""
     s = SuffStats(stats.n, stats.centre, stats.s0.copy(), stats.s1.copy(), stats.s2.copy())
     now = params or s.params(family, start)
     if not len(x):
         return s, now
-    before = _responsibilities(x, family, start)
+    before = _responsibilities(x, family, start) if before is None else before
     rng = np.random.default_rng(seed)
     centred = x - stats.centre
     for _ in range(rounds):

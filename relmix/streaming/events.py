@@ -65,9 +65,12 @@ def running_stats(stream: DataFrame) -> DataFrame:
     return stream.groupBy("user_id").applyInPandasWithState(_running, schema, "n bigint, total double, squares double", "update", GroupStateTimeout.NoTimeout)
 
 
-def maintain_stream(stream: DataFrame, table: MaintainedTable, checkpoint: str, x: str = "value", tid: str = "event_id"):
-    """Each micro-batch is one insert statement; a batch id that the manifest has is not applied again."""
-    rows = stream.select(F.col(tid).alias("tid"), F.col(x).cast("double").alias("x0"))
+def maintain_stream(stream: DataFrame, table: MaintainedTable, checkpoint: str, x: str | dict[str, str] = "value", tid: str = "event_id"):
+    """Each micro-batch is one insert statement; a batch id that the manifest has is not applied again.
+
+    ``x``: the column of a one-dimensional model, or SQL for each column of the table's family."""
+    bound = {"x0": f"`{x}`"} if isinstance(x, str) else x
+    rows = stream.select(F.col(tid).alias("tid"), *[F.expr(sql).cast("double").alias(c) for c, sql in bound.items()])
 
     def apply(batch: DataFrame, batch_id: int) -> None:
         if not batch.isEmpty():
