@@ -1,14 +1,20 @@
-"""Agreement of two labellings, from their contingency table only (no pairs of rows)."""
+"""Agreement of two labellings, from their contingency table only (no pairs of rows).
+
+The table is counted once and written; it has at most K x L rows, and every measure reads it.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
+from relmix.session import stored
+
 
 def contingency(df: DataFrame, a: str, b: str) -> DataFrame:
     """(a, b, n): one small row per occurring combination."""
-    return df.groupBy(F.col(a).alias("a"), F.col(b).alias("b")).agg(F.count(F.lit(1)).alias("n"))
+    return stored(df.groupBy(F.col(a).alias("a"), F.col(b).alias("b")).agg(F.count(F.lit(1)).alias("n")), "contingency")
 
 
 def purity(c: DataFrame) -> DataFrame:
@@ -17,11 +23,9 @@ def purity(c: DataFrame) -> DataFrame:
 
 
 def _with_margins(c: DataFrame) -> DataFrame:
-    rows = c.groupBy("a").agg(F.sum("n").alias("na"))
-    cols = c.groupBy("b").agg(F.sum("n").alias("nb"))
-    total = c.agg(F.sum("n").alias("total"))
-    # margins are as small as the table itself; the total is one row
-    return c.join(rows, "a").join(cols, "b").crossJoin(F.broadcast(total))
+    """The cells with na, nb and total; windows over K x L rows."""
+    margin = lambda *by: F.sum("n").over(Window.partitionBy(*by))
+    return c.select("*", margin("a").alias("na"), margin("b").alias("nb"), margin(F.lit(0)).alias("total"))
 
 
 def nmi(c: DataFrame, norm: str = "mean") -> DataFrame:
@@ -44,10 +48,11 @@ def _pairs(x: str):
 
 def rand_index(c: DataFrame, adjusted: bool = False) -> DataFrame:
     """Share of row pairs on which the labellings agree; ``adjusted`` for chance. Pair counts are decimals: 10^12 rows make 10^24 pairs."""
-    cells = c.agg(F.sum(_pairs("n")).cast("double").alias("both"), F.sum("n").alias("total"))
-    rows = c.groupBy("a").agg(F.sum("n").alias("m")).agg(F.sum(_pairs("m")).cast("double").alias("pa"))
-    cols = c.groupBy("b").agg(F.sum("n").alias("m")).agg(F.sum(_pairs("m")).cast("double").alias("pb"))
-    one = cells.crossJoin(F.broadcast(rows)).crossJoin(F.broadcast(cols))  # one row each
+    # cells, row margins and column margins in one pass
+    margins = c.cube("a", "b").agg(F.sum("n").alias("m"), F.grouping("a").alias("no_a"), F.grouping("b").alias("no_b"))
+    of = lambda a, b: F.sum(F.when((F.col("no_a") == a) & (F.col("no_b") == b), _pairs("m"))).cast("double")
+    whole = F.sum(F.when((F.col("no_a") == 1) & (F.col("no_b") == 1), F.col("m")))
+    one = margins.agg(of(0, 0).alias("both"), of(0, 1).alias("pa"), of(1, 0).alias("pb"), whole.alias("total"))
     all_pairs = _pairs("total").cast("double")
     if not adjusted:
         return one.select(((all_pairs + 2 * F.col("both") - F.col("pa") - F.col("pb")) / all_pairs).alias("rand_index"))

@@ -56,9 +56,21 @@ def init_quantile(data: DataFrame, family: Gaussian, k: int) -> Params:
 
 
 def sample_rows(data: DataFrame, family: Family, n: int, seed: int) -> np.ndarray:
-    """``n`` distinct rows by smallest seeded hash of their values: deterministic, no full sort."""
-    picked = data.select(*family.columns).dropDuplicates().orderBy(F.xxhash64(*family.columns, F.lit(seed)), *family.columns).limit(n).collect()
-    return np.array([list(r) for r in picked], float)
+    """``n`` distinct rows by smallest seeded hash of their values: deterministic, no full sort, no shuffle of the rows.
+
+    Every task sends its smallest; equal rows have equal hashes, so they stand together and are removed
+    after. Where that leaves too few, more are taken."""
+    rows = data.select(*family.columns)
+    by = [F.xxhash64(*family.columns, F.lit(seed)), *family.columns]
+    take = n
+    while True:
+        picked = [tuple(r) for r in rows.orderBy(*by).limit(take).collect()]
+        distinct = list(dict.fromkeys(picked))[:n]
+        if len(distinct) == n or len(picked) < take:
+            return np.array(distinct, float)
+        if take >= 64 * n:  # rows repeat very often: remove the copies first
+            return np.array([list(r) for r in rows.dropDuplicates().orderBy(*by).limit(n).collect()], float)
+        take *= 4
 
 
 def init_sample(data: DataFrame, family: Gaussian, k: int, seed: int) -> Params:

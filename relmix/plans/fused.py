@@ -46,19 +46,29 @@ def statistics(family: Family, params: Params) -> list[str]:
 
 def round_frame(data: DataFrame, family: Family, params: Params, groups: int = 0) -> DataFrame:
     """One row: n, loglik, s0... With ``groups`` the sums go through that many intermediate groups,
-    so that no single task merges the partials of 100,000 scan tasks."""
-    rows = posterior_columns(data, family, params)
-    names = statistics(family, params)
-    aggs = [F.count(F.lit(1)).alias("n"), F.sum("lse").alias("loglik")]
-    aggs += [F.sum(F.expr(sql)).alias(f"s{i}") for i, sql in enumerate(names)]
-    if not groups:
-        return rows.agg(*aggs)
-    first = rows.groupBy(F.pmod(F.spark_partition_id(), F.lit(groups)).alias("__g")).agg(*aggs)
-    return first.agg(*[F.sum(c).alias(c) for c in first.columns if c != "__g"])
+    so that no single task merges the partials of 100,000 scan tasks.
+
+    The round is one SQL text, parsed and analysed once: on small data planning is most of a round, and
+    every DataFrame call would analyse the plan again.
+    """
+    n_comp = family.k(params)
+    names = [f"l{k}" for k in range(n_comp)]
+    joint = ", ".join(f"{family.log_joint_sql(params, k)} AS l{k}" for k in range(n_comp))
+    rows = f"SELECT {', '.join(family.columns)}, {joint} FROM {{rows}}"
+    rows = f"SELECT *, {'greatest(' + ', '.join(names) + ')' if n_comp > 1 else 'l0'} AS top FROM ({rows})"
+    rows = f"SELECT *, top + ln({' + '.join(f'exp({c} - top)' for c in names)}) AS lse FROM ({rows})"
+    rows = f"SELECT *, {', '.join(f'exp(l{k} - lse) AS p{k}' for k in range(n_comp))} FROM ({rows})"
+    sums = ["count(1) AS n", "sum(lse) AS loglik", *[f"sum({sql}) AS s{i}" for i, sql in enumerate(statistics(family, params))]]
+    if groups:
+        merged = ", ".join(f"sum({c}) AS {c}" for c in ("n", "loglik", *[f"s{i}" for i in range(len(sums) - 2)]))
+        text = f"SELECT {merged} FROM (SELECT {', '.join(sums)} FROM (SELECT *, pmod(spark_partition_id(), {groups}) AS g FROM ({rows})) GROUP BY g)"
+    else:
+        text = f"SELECT {', '.join(sums)} FROM ({rows})"
+    return data.sparkSession.sql(text, rows=data)
 
 
 def run_round(data: DataFrame, family: Family, params: Params, groups: int = 0) -> Round:
-    row = round_frame(data, family, params, groups).head()
+    row = round_frame(data, family, params, groups).collect()[0]  # an aggregate of all rows is one row
     values = np.array([0.0 if v is None else float(v) for v in row])
     return Round(values[0], values[1], values[2:])
 
