@@ -249,7 +249,7 @@ def select_entropy_threshold(spark, d):
     return S.select_entropy(customers(spark, d), fixed_view(), threshold=0.5).select("tid", r("entropy").alias("entropy"))
 
 
-@query("select_random")
+@query("select_random", "SELECT c_custkey AS tid FROM customer ORDER BY md5(c_custkey || ':7'), c_custkey LIMIT 40")
 def select_random(spark, d):
     return S.select_random(customers(spark, d), 40, seed=7).select("tid")
 
@@ -265,13 +265,9 @@ def warm_refresh(spark, d):
 @query("full_sweep", emsql.gaussian(CUSTOMERS, FIXED, 1, "full", 3) + "\nSELECT comp, round(w, 6) + 0.0 AS weight, round(mu0, 6) + 0.0 AS mu, round(sqrt(s00), 6) + 0.0 AS sd FROM m3")
 def full_sweep(spark, d):
     """All rows staged, one batch a sweep: two sweeps after the statistics equal three warm rounds."""
-    from relmix.maintain.update import collected
+    from relmix.maintain.update import full_sweep as whole
 
-    x = customers(spark, d)
-    family = Gaussian(1)
-    rows = collected(x, family)
-    _, params = sweep(stats_of(x, family, FIXED_PARAMS), rows, family, FIXED_PARAMS, 2, None, len(rows))
-    return _frame_1d(spark, params)
+    return _frame_1d(spark, whole(customers(spark, d), Gaussian(1), FIXED_PARAMS, 2))
 
 
 def _two(spark, d):
@@ -296,16 +292,54 @@ def incremental_update(spark, d):
     return spark.createDataFrame(rows, "method string, budget int, gap double")
 
 
+_PARAMS_OF_P = "SELECT comp, round(s0 / n, 6) + 0.0 AS weight, round(s1 / s0, 6) + 0.0 AS mu, round(sqrt(s2 / s0 - (s1 / s0) * (s1 / s0)), 6) + 0.0 AS sd FROM"
+_TWO_START = [(1, 0.5, -2.0, 2.25), (2, 0.5, 2.0, 2.25)]
+
+
 @query("incremental_delete")
 def incremental_delete(spark, d):
+    """Parameters and row count after a delete without a sweep: the statistics of the rows that are left."""
     x, family = _two(spark, d), Gaussian(1)
-    base = fit(x, family, _TWO_PARAMS, 15).params
-    t = MaintainedTable.create(spark, scratch(spark, "maintained"), x, family, base, budget=100, sweeps=3)
+    t = MaintainedTable.create(spark, scratch(spark, "maintained"), x, family, _TWO_PARAMS, budget=0)
     t.delete(x.filter("tid % 1000 = 1").select("tid"))
-    return t.data().agg(F.count(F.lit(1)).alias("n"))
-
-
-SQL["incremental_delete"] = f"SELECT count(*) AS n FROM ({planted.gauss_sql(1, two=3.0)}) z WHERE tid % 1000 <> 1"
+    return _frame_1d(spark, t.params).crossJoin(F.broadcast(t.data().agg(F.count(F.lit(1)).alias("n"))))
+
+
+SQL["incremental_delete"] = (
+    emsql.gaussian(f"SELECT tid, x0 FROM ({planted.gauss_sql(1, two=3.0)}) g", _TWO_START, 1, "full", 0)
+    + f" {_PARAMS_OF_P.replace(' FROM', ', n FROM')} (SELECT comp, count(*) AS n, sum(p) AS s0, sum(p * x0) AS s1, sum(p * x0 * x0) AS s2 FROM e0 WHERE tid % 1000 <> 1 GROUP BY comp) z"
+)
+
+#: The update row by row in a fixed order, unrolled as a recursion over the steps; lists hold the components.
+_STEPS, _STAGED = 16, 8
+_EACH = "list_transform(range(1, 4), lambda k: {})".format
+SQL["incremental_fixed_order"] = (
+    emsql.gaussian(CUSTOMERS, FIXED, 1, "full", 0).replace("WITH ", "WITH RECURSIVE ", 1)
+    + f""",
+staged AS (SELECT tid, row_number() OVER (ORDER BY tid) AS i FROM x ORDER BY tid LIMIT {_STAGED}),
+shares AS (SELECT i, max(x0) AS v, list(p ORDER BY comp) AS p FROM e0 JOIN staged USING (tid) GROUP BY i),
+rows8 AS (SELECT list(v ORDER BY i) AS xs, list(p ORDER BY i) AS ps FROM shares),
+sums AS (SELECT comp, sum(p) AS a, sum(p * x0) AS b, sum(p * x0 * x0) AS c FROM e0 GROUP BY comp),
+steps(step, xs, ps, a, b, c) AS (
+  SELECT 0, xs, ps, (SELECT list(a ORDER BY comp) FROM sums), (SELECT list(b ORDER BY comp) FROM sums), (SELECT list(c ORDER BY comp) FROM sums) FROM rows8
+  UNION ALL
+  SELECT step + 1, xs, {_EACH("k").replace("range(1, 4)", f"range(1, {_STAGED + 1})").replace(": k)", ": CASE WHEN k = i THEN q ELSE ps[k] END)")},
+         {_EACH("a[k] + q[k] - ps[i][k]")}, {_EACH("b[k] + (q[k] - ps[i][k]) * v")}, {_EACH("c[k] + (q[k] - ps[i][k]) * v * v")}
+  FROM (SELECT *, {_EACH("f[k] / list_sum(f)")} AS q
+    FROM (SELECT *, {_EACH("a[k] / sqrt(c[k] / a[k] - (b[k] / a[k]) * (b[k] / a[k])) * exp(-0.5e0 * (v - b[k] / a[k]) * (v - b[k] / a[k]) / (c[k] / a[k] - (b[k] / a[k]) * (b[k] / a[k])))")} AS f
+      FROM (SELECT *, step % {_STAGED} + 1 AS i, xs[step % {_STAGED} + 1] AS v FROM steps WHERE step < {_STEPS}) s1) s2) s3),
+done AS (SELECT CAST(k AS INT) AS comp, a[k] AS s0, b[k] AS s1, c[k] AS s2, (SELECT count(*) FROM x) AS n FROM steps, range(1, 4) r(k) WHERE step = {_STEPS})
+{_PARAMS_OF_P} done"""
+)
+
+
+@query("incremental_fixed_order", SQL["incremental_fixed_order"])
+def incremental_fixed_order(spark, d):
+    """Eight staged rows, two sweeps in the order of ids, parameters derived after each row."""
+    x, family = customers(spark, d), Gaussian(1)
+    staged = np.array([[r["x0"]] for r in x.orderBy("tid").limit(_STAGED).collect()])
+    _, params = sweep(stats_of(x, family, FIXED_PARAMS), staged, family, FIXED_PARAMS, _STEPS // _STAGED, None, 1)
+    return _frame_1d(spark, params)
 
 
 @query("incremental_parallel")
@@ -315,17 +349,26 @@ def incremental_parallel(spark, d):
 
     x, family = _two(spark, d), Gaussian(1)
     base = fit(x, family, _TWO_PARAMS, 5).params
-    staged = S.select_entropy(x, ModelView(family, base), budget=1000)
+    staged = S.select_entropy(x, ModelView(family, base), budget=1000).repartition(4, "tid")
     stats = stats_of(x, family, base)
     _, one = sweep(stats, collected(staged, family), family, base, 2, 0, 64)
     _, many = parallel_sweep(stats, staged, family, base, 2)
     return spark.createDataFrame([(model_gap(family, many, one)[0] < 1e-2,)], "close boolean")
 
 
-@query("refresh_policy", "SELECT * FROM (VALUES (100000, 1000, 'incremental'), (1000000, 1000, 'incremental'), (1000, 500000, 'batch')) t(n, budget, mode)")
+_POLICY = [(budget, dims, comps) for budget in (0, 1_000, 20_000, 500_000) for dims, comps in ((1, 2), (20, 8))]
+
+
+@query(
+    "refresh_policy",
+    "SELECT n, b AS budget, d, k, CASE WHEN (b + 10) * 3 * (1e-4 + 1e-6 * m) <= 15 * (0.3e0 + n * m * 4e-8) THEN 'incremental' ELSE 'batch' END AS mode "
+    f"FROM (SELECT *, k * (1 + d + d * (d + 1) / 2.0e0) AS m, (SELECT count(*) FROM lineitem) AS n FROM (VALUES {', '.join(map(str, _POLICY))}) t(b, d, k)) z",
+)
 def refresh_policy(spark, d):
-    rows = [(n, b, preferred(n, 10, b, 3, 15)) for n, b in ((100_000, 1000), (1_000_000, 1000), (1000, 500_000))]
-    return spark.createDataFrame(rows, "n int, budget int, mode string")
+    """The choice for a table as long as lineitem, by budget, dimensions and components."""
+    n = spark.read.parquet(f"{d}/lineitem.parquet").count()
+    rows = [(n, b, dims, comps, preferred(n, 10, b, 3, 15, d=dims, k=comps)) for b, dims, comps in _POLICY]
+    return spark.createDataFrame(rows, "n bigint, budget int, d int, k int, mode string")
 
 
 @query("regression_stats", emsql.regression(RFM_REG, MLR_START, 1, False) + "\nSELECT comp, round(w, 6) + 0.0 AS w, round(b0, 6) + 0.0 AS b0, round(b1, 6) + 0.0 AS b1, round(v, 6) + 0.0 AS v FROM m1")

@@ -4,11 +4,12 @@ from __future__ import annotations
 
 import uuid
 
+import numpy as np
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from relmix.catalogue import emsql
-from relmix.catalogue.common import CUSTOMERS, FIXED, RFM, RFM_Z, customers, fixed_view, r, table
+from relmix.catalogue.common import CUSTOMERS, FIXED, FIXED_PARAMS, RFM, RFM_Z, START_1D, START_1D_PARAMS, customers, fixed_view, r, table
 from relmix.functions.udfs import gmm_stats, mvn_logpdf, npdf, register_npdf, register_tables
 from relmix.maintain.table import MaintainedTable
 from relmix.models.families import Gaussian, gaussian1d
@@ -364,16 +365,18 @@ def stream_scored(spark, d):
     return out.groupBy("comp").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("stream_maintained", "SELECT count(*) AS n, count(*) AS mass FROM events")
+@query("stream_maintained", emsql.gaussian("SELECT event_id AS tid, value AS x0 FROM events", [(1, 0.5, 20.0, 400.0), (2, 0.5, 120.0, 3600.0)], 1, "full", 1) + " SELECT comp, round(w, 6) + 0.0 AS weight, round(mu0, 5) + 0.0 AS mu, round(sqrt(s00), 5) + 0.0 AS sd, (SELECT count(*) FROM events) AS n FROM m1")
 def stream_maintained(spark, d):
-    """Half of the events train, the other half arrive as a stream of inserts; the statistics hold all rows."""
+    """Half of the events are there, the other half arrive from a stream; without a sweep the parameters are
+    those of all rows' shares under the entering parameters."""
     e = table(spark, d, "events").select(*[c.split()[0] for c in E.EVENTS.split(", ")])
     base = e.filter("event_id % 2 = 0").select(F.col("event_id").alias("tid"), F.col("value").alias("x0"))
     params = gaussian1d([0.5, 0.5], [20.0, 120.0], [20.0, 60.0])
-    t = MaintainedTable.create(spark, scratch(spark, "maintained"), base, Gaussian(1), params, budget=50, sweeps=1, batch_size=256)
-    E.maintain_stream(E.replay(spark, e.filter("event_id % 2 = 1"), 2), t, scratch(spark, "checkpoint")).awaitTermination()
+    t = MaintainedTable.create(spark, scratch(spark, "maintained"), base, Gaussian(1), params, budget=0, sweeps=0)
+    E.maintain_stream(E.replay(spark, e.filter("event_id % 2 = 1"), 1), t, scratch(spark, "checkpoint")).awaitTermination()
+    now = spark.createDataFrame([(k + 1, float(t.params["weight"][k]), float(t.params["mu"][k, 0]), float(np.sqrt(t.params["sigma"][k, 0, 0]))) for k in range(2)], "comp int, weight double, mu double, sd double")
     n = t.data().agg(F.count(F.lit(1)).alias("n"))
-    return n.withColumn("mass", F.round(F.lit(float(t.stats.s0.sum()))).cast("long"))
+    return now.select("comp", r("weight").alias("weight"), r("mu", 5).alias("mu"), r("sd", 5).alias("sd")).crossJoin(F.broadcast(n))
 
 
 # experiments -----------------------------------------------------------------------------
@@ -383,7 +386,7 @@ def stream_maintained(spark, d):
 def experiment_loop_modes(spark, d):
     from relmix.workloads import planted
 
-    return sweeps.loop_modes(spark, planted.two(spark, d), 2, 2, ("loop", "script", "client"))
+    return sweeps.loop_sweep(spark, d)
 
 
 @query("experiment_hybrid_round")
@@ -393,15 +396,16 @@ def experiment_hybrid_round(spark, d):
 
 @query("experiment_scalability")
 def experiment_scalability(spark, d):
-    out = sweeps.scalability(spark, d, "gaussian", "k", [2, 4], d=2, n=5000)
-    return out.unionByName(sweeps.scalability(spark, d, "linear", "d", [1, 2], k=4, n=5000)).unionByName(sweeps.scalability(spark, d, "expert", "n", [2000, 5000], d=1, k=4))
+    return sweeps.scalability_sweep(spark, d)
 
 
 @query("experiment_maintenance")
 def experiment_maintenance(spark, d):
     from relmix.workloads import planted
 
-    return sweeps.maintenance(spark, planted.two(spark, d), [10, 50], [0, 250])
+    data = planted.two(spark, d)
+    ahead = sweeps.maintenance(spark, data, [10, 30, 50], [0, 250, 1000])
+    return ahead.unionByName(sweeps.maintenance(spark, data, [50], [250, 1000], precomputed=False))
 
 
 @query("experiment_deletion")
@@ -413,18 +417,34 @@ def experiment_deletion(spark, d):
 
 @query("experiment_convergence")
 def experiment_convergence(spark, d):
-    return sweeps.convergence(spark, rfm.scaled(rfm.orders(spark, d)), rounds=6)
+    return sweeps.convergence(spark, rfm.scaled(rfm.orders(spark, d)), rounds=15)
 
 
 @query("experiment_segments", "SELECT count(DISTINCT o_custkey) AS customers FROM orders")
 def experiment_segments(spark, d):
     """Every customer gets one segment from each of the three models."""
-    parts = [rfm.segment(spark, d, f, rounds=3).select("tid", F.lit(f).alias("model"), "comp") for f in ("gaussian", "linear", "expert")]
+    parts = [rfm.segment(spark, d, f, rounds=15).select("tid", F.lit(f).alias("model"), "comp") for f in ("gaussian", "linear", "expert")]
     whole = parts[0].unionByName(parts[1]).unionByName(parts[2])
     once = whole.groupBy("tid").agg(F.countDistinct("model").alias("m"), F.count(F.lit(1)).alias("n")).filter("m = 3 AND n = 3")
     return once.agg(F.count(F.lit(1)).alias("customers"))
 
 
-@query("experiment_intermediate_rows", "SELECT p.plan AS plan, p.k * (SELECT count(*) FROM customer) AS intermediate_rows FROM (VALUES ('relational', 3), ('coordinate', 3), ('fused', 0), ('arrow', 0)) p(plan, k)")
+@query("experiment_intermediate_rows", "SELECT p.plan AS plan, p.k * (SELECT count(*) FROM customer) AS relation_rows FROM (VALUES ('relational', 3), ('coordinate', 3)) p(plan, k)")
 def experiment_intermediate_rows(spark, d):
-    return sweeps.intermediate_rows(spark, customers(spark, d), 3)
+    """Rows of the responsibility relation that the joining plans build, counted from their executed frames."""
+    return sweeps.relation_rows(spark, customers(spark, d), FIXED_PARAMS)
+
+
+@query("experiment_shuffled_rows")
+def experiment_shuffled_rows(spark, d):
+    """Rows that a round of each plan writes to shuffles, as the executors report them."""
+    return sweeps.shuffled_rows(spark, customers(spark, d), FIXED_PARAMS)
+
+
+@query("experiment_convergence_1d", emsql.gaussian(CUSTOMERS, START_1D, 1, "full", 15) + "\n" + " UNION ALL ".join(f"SELECT {t + 1} AS round, round(sum(lse), 4) + 0.0 AS loglik FROM (SELECT DISTINCT tid, lse FROM e{t}) z" for t in range(15)))
+def experiment_convergence_1d(spark, d):
+    """The likelihood entering each of fifteen rounds."""
+    from relmix.models.em import fit
+
+    done = fit(customers(spark, d), Gaussian(1), START_1D_PARAMS, 15)
+    return spark.createDataFrame([(n, float(v)) for n, v, _, _ in done.trace], "round int, loglik double").select("round", r("loglik", 4).alias("loglik"))

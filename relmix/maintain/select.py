@@ -48,7 +48,7 @@ def select_all(df: DataFrame) -> DataFrame:
 
 def select_random(df: DataFrame, budget: int, seed: int = 0, tid: str = "tid") -> DataFrame:
     """The rows of smallest seeded hash of the id."""
-    return df.orderBy(F.xxhash64(F.col(tid), F.lit(seed)), tid).limit(budget)
+    return df.orderBy(F.md5(F.concat(F.col(tid).cast("string"), F.lit(f":{seed}"))), tid).limit(budget)
 
 
 def budget_threshold(df: DataFrame, view: ModelView, budget: int, n: int, tid: str = "tid") -> float:

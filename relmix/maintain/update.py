@@ -56,6 +56,16 @@ def sweep(stats: SuffStats, x: np.ndarray, family: Gaussian, start: Params, roun
     return s, now
 
 
+def full_sweep(data: DataFrame, family: Gaussian, start: Params, sweeps: int) -> Params:
+    """All rows staged, one batch a sweep: every contribution is replaced at once, by one pass on the executors."""
+    from relmix.maintain.stats import stats_of
+
+    now = stats_of(data, family, start).params(family, start)
+    for _ in range(sweeps):
+        now = stats_of(data, family, now).params(family, now)
+    return now
+
+
 def parallel_sweep(stats: SuffStats, rows: DataFrame, family: Gaussian, start: Params, rounds: int, seed: int = 0, batch_size: int = 64) -> tuple[SuffStats, Params]:
     """Every partition sweeps its own rows against its own copy of the statistics; the deltas are added up."""
     first = stats.params(family, start)

@@ -62,6 +62,31 @@ def gmm1d_spec(data_view: str, start_view: str, rounds: int) -> IterationSpec:
     )
 
 
+def gmm_diag_spec(data_view: str, start_view: str, d: int, rounds: int) -> IterationSpec:
+    """A diagonal Gaussian mixture over x0..x{d-1} as an iterative query; ``start_view`` has (comp, weight, mu0.., v0..)."""
+    dims = range(d)
+    names = ["comp", "weight", *(f"mu{j}" for j in dims), *(f"v{j}" for j in dims)]
+    log = "ln(model.weight) - 0.5D * (" + " + ".join(f"ln(model.v{j}) + (d.x{j} - model.mu{j}) * (d.x{j} - model.mu{j}) / model.v{j}" for j in dims) + ")"
+    xs = ", ".join(f"x{j}" for j in dims)
+    means, spreads = ", ".join(f"sum(p * x{j}) / sum(p) AS m{j}" for j in dims), ", ".join(f"sum(resp.p * power(resp.x{j} - mass.m{j}, 2)) AS q{j}" for j in dims)
+    return (
+        iterate("model", *names)
+        .start(f"SELECT {', '.join(names)} FROM {start_view}")
+        .let("joint", f"SELECT d.tid, model.comp, {', '.join(f'd.x{j}' for j in dims)}, {log} AS l FROM model CROSS JOIN {data_view} d")
+        .let("lifted", f"SELECT tid, comp, {xs}, exp(l - max(l) OVER (PARTITION BY tid)) AS f FROM joint")
+        .let("resp", f"SELECT tid, comp, {xs}, f / sum(f) OVER (PARTITION BY tid) AS p FROM lifted")
+        .let("mass", f"SELECT comp, sum(p) AS s, {means} FROM resp GROUP BY comp")
+        .let("spread", f"SELECT resp.comp, {spreads} FROM resp JOIN mass ON resp.comp = mass.comp GROUP BY resp.comp")
+        .next(
+            f"SELECT mass.comp, mass.s / (SELECT count(*) FROM {data_view}) AS weight, {', '.join(f'mass.m{j} AS mu{j}' for j in dims)}, "
+            f"{', '.join(f'greatest(spread.q{j} / mass.s, 1e-9D) AS v{j}' for j in dims)} FROM mass JOIN spread ON mass.comp = spread.comp"
+        )
+        .replace_on("comp")
+        .max_rounds(rounds)
+        .build()
+    )
+
+
 def descent_spec(data_view: str, rate: float, rounds: int) -> IterationSpec:
     """Supervised use of the same recursion: gradient descent for y = a + b x; ``data_view`` has (x, y)."""
     return (

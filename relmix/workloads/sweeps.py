@@ -8,7 +8,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from relmix.evaluate.meter import Meter, model_gap
+from relmix.evaluate.meter import Meter, model_gap, scaling_slope
 from relmix.maintain.table import MaintainedTable
 from relmix.models.em import fit
 from relmix.models.families import ExpertMixture, Gaussian, LinearMixture, gaussian1d
@@ -17,22 +17,38 @@ from relmix.session import scratch, stored
 from relmix.workloads import planted, recursion
 
 
-def loop_modes(spark: SparkSession, data: DataFrame, k: int, rounds: int, modes: tuple[str, ...] = ("loop", "script", "dataframe", "client")) -> DataFrame:
-    """The text-defined one-dimensional mixture in every mode: seconds, jobs, stages, statements, tables written."""
-    data.select("tid", F.col("x0").alias("x")).createOrReplaceTempView("__sweep_data")
-    means = np.linspace(-4, 4, k)
-    spark.createDataFrame([(i + 1, 1 / k, float(m), 2.0) for i, m in enumerate(means)], "comp int, weight double, mu double, sd double").createOrReplaceTempView("__sweep_start")
+def loop_modes(spark: SparkSession, data: DataFrame, k: int, rounds: int, modes: tuple[str, ...] = ("loop", "script", "dataframe", "client"), d: int = 1, n: int | None = None) -> DataFrame:
+    """The text-defined mixture in every mode: seconds, jobs, stages, statements, tables written, weight of the first component."""
+    data.createOrReplaceTempView("__sweep_data")
+    means = planted.true_start(d, k)["mu"] if d > 1 else np.linspace(-4, 4, k)[:, None]
+    start = [(i + 1, 1 / k, *map(float, means[i]), *[4.0] * d) for i in range(k)]
+    columns = "comp int, weight double, " + ", ".join([*(f"mu{j} double" for j in range(d)), *(f"v{j} double" for j in range(d))])
+    spark.createDataFrame(start, columns).createOrReplaceTempView("__sweep_start")
+    size = data.count() if n is None else n
     rows = []
     for mode in modes:
-        spec = recursion.gmm1d_spec("__sweep_data", "__sweep_start", rounds)
+        spec = recursion.gmm_diag_spec("__sweep_data", "__sweep_start", d, rounds)
 
         def once(spec=spec, mode=mode):
             out = run(spark, spec, mode)
             return out, out.result.collect()
 
-        (out, _), cost = Meter(spark).counted(once)
-        rows.append((mode, k, rounds, cost["seconds"], int(cost["jobs"]), int(cost["stages"]), out.statements, out.materialised))
-    return spark.createDataFrame(rows, "mode string, k int, rounds int, seconds double, jobs int, stages int, statements int, materialised int")
+        (out, model), cost = Meter(spark).counted(once)
+        rows.append((mode, d, size, k, out.rounds, cost["seconds"], int(cost["jobs"]), int(cost["stages"]), out.statements, out.materialised, round(min(model)["weight"], 6)))
+    return spark.createDataFrame(rows, "mode string, d int, n bigint, k int, rounds int, seconds double, jobs int, stages int, statements int, materialised int, first_weight double")
+
+
+def loop_sweep(spark: SparkSession, sf_dir: str, modes: tuple[str, ...] = ("loop", "script", "client"), base: tuple[int, int, int, int] = (2, 10_000, 10, 2)) -> DataFrame:
+    """d, n, K and rounds varied one at a time around ten Gaussians."""
+    d, n, k, rounds = base
+    points = [("d", 1, n, k, rounds), ("base", d, n, k, rounds), ("d", 5, n, k, rounds), ("n", d, 2 * n, k, rounds), ("k", d, n, 2, rounds), ("rounds", d, n, k, 1), ("rounds", d, n, k, 5)]
+    out = None
+    for axis, dims, size, comps, r in points:
+        rows = planted.gauss(spark, sf_dir, dims, comps).select("tid", *[f"x{j}" for j in range(dims)])
+        data = stored(rows.orderBy("tid").limit(size), "sweep-loop")
+        part = loop_modes(spark, data, comps, r, modes, dims).withColumn("axis", F.lit(axis))
+        out = part if out is None else out.unionByName(part)
+    return out
 
 
 def hybrid_round(spark: SparkSession, sf_dir: str, n: int = 10_000, d: int = 10, k: int = 10) -> DataFrame:
@@ -119,7 +135,43 @@ def convergence(spark: SparkSession, rows: DataFrame, k: int = 4, rounds: int =
     return spark.createDataFrame(out, "model string, round int, loglik double, delta double")
 
 
-def intermediate_rows(spark: SparkSession, data: DataFrame, k: int) -> DataFrame:
-    """Rows that a round's plans put through a shuffle or a join: n * K responsibilities (relational) or none (fused)."""
-    n = data.count()
-    return spark.createDataFrame([("relational", n * k), ("coordinate", n * k), ("fused", 0), ("arrow", 0)], "plan string, intermediate_rows bigint")
+def relation_rows(spark: SparkSession, data: DataFrame, params) -> DataFrame:
+    """Rows of the responsibility relations that the joining plans build, counted."""
+    from relmix.plans import fused, relational
+
+    family = Gaussian(1)
+    x = data.select("tid", F.array(*[F.col(c) for c in family.columns]).alias("x"))
+    joined = relational.responsibilities(x, relational.model_relation(x, family, params)).count()
+    k = family.k(params)
+    posts = fused.posterior_columns(data.select("tid", *family.columns), family, params)
+    long = posts.select("tid", F.posexplode(F.array(*[F.col(f"p{i}") for i in range(k)])).alias("comp", "p")).count()
+    return spark.createDataFrame([("relational", joined), ("coordinate", long)], "plan string, relation_rows bigint")
+
+
+def shuffled_rows(spark: SparkSession, data: DataFrame, params, plans: tuple[str, ...] = ("relational", "coordinate", "wide", "hybrid", "fused", "explode", "arrow")) -> DataFrame:
+    """(plan, tasks, shuffled rows) of one round, from the stages' own counters."""
+    rows, family = [], Gaussian(1, cov="diag")
+    store = spark.sparkContext._jsc.sc().statusStore()
+    for plan in plans:
+        group = f"shuffled-{plan}"
+        spark.sparkContext.setJobGroup(group, plan)
+        fit(data, family, params, 1, plan=plan)
+        tracker = spark.sparkContext.statusTracker()
+        stages = {i for j in tracker.getJobIdsForGroup(group) if (info := tracker.getJobInfo(j)) for i in info.stageIds}
+        seen = [store.lastStageAttempt(i) for i in stages if tracker.getStageInfo(i)]
+        rows.append((plan, sum(s.numCompleteTasks() for s in seen), sum(s.shuffleWriteRecords() for s in seen)))
+    spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    return spark.createDataFrame(rows, "plan string, tasks int, shuffled_rows bigint")
+
+
+def scalability_sweep(spark: SparkSession, sf_dir: str, d: int = 20, k: int = 8, n: int = 10_000) -> DataFrame:
+    """Seconds per round of the three models along d, n and K around d=20, K=8, n=10,000, with the axis' log-log slope."""
+    out = []
+    for family in ("gaussian", "linear", "expert"):
+        for axis, values in (("d", [5, 10, d]), ("k", [2, 4, k]), ("n", [n // 4, n // 2, n])):
+            got = scalability(spark, sf_dir, family, axis, values, d, k, n, rounds=2, plan="arrow").collect()
+            # the second round: the first one warms up
+            points = [(float(r[axis]), r["seconds"]) for r in got if r["round"] == 2]
+            slope = scaling_slope(points)
+            out += [(family, axis, r["n"], r["d"], r["k"], r["round"], r["seconds"], slope) for r in got]
+    return spark.createDataFrame(out, "model string, axis string, n bigint, d int, k int, round int, seconds double, slope double")
