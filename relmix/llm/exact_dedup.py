@@ -4,6 +4,7 @@ The index is a Parquet table of (digest, keep_id, batch), bucketed and sorted by
 digested, its own copies are collapsed (largest id stays) by an aggregate that combines before the
 shuffle, and the groups are sort-merge anti-joined with the index: groups whose digest it has are
 dropped as known, the others are appended. Buckets spare the index side of the join its shuffle.
+Rows learn their group's verdict by digest; the few groups that hold much of the rows are broadcast.
 
 A run that failed after it had appended can be repeated: the row whose id and text the index has stays
 kept, and with a ``batch`` name whatever this batch has appended counts as new again (that also covers
@@ -25,6 +26,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relmix.llm.columns import ascii_lower, narrow, text_or_empty
+from relmix.llm.hot import with_group
 from relmix.session import scratch, stored
 
 
@@ -93,7 +95,7 @@ def judged(docs: DataFrame, index: DigestIndex, id_col: str, text_col: str, batc
     """(id, digest, keep_id, known, n) for every row; the index learns the new digests."""
     rows = stored(digests(docs, id_col, text_col), "dedup-digests")
     groups = index.add(rows.groupBy("digest").agg(F.max("id").alias("best"), F.count(F.lit(1)).alias("n")), batch)
-    return rows.join(groups, "digest")
+    return with_group(rows, groups, "digest")
 
 
 def deduplicate(docs: DataFrame, index: DigestIndex, id_col: str = "doc_id", text_col: str = "text", batch: str | None = None) -> DataFrame:
