@@ -10,7 +10,8 @@ read. Of texts that occur more often one is encoded; those move once, by a key t
 row id), so copies of one text do not meet in a task. Two bounded Bloom filters, of the digests that occur
 more often or are known and of the misses, tell the texts apart; where the filters are full more texts
 move, and the join decides. The cache is read with one count for each digest, so a folder that two jobs
-appended the same digest to does no harm, nor does a repeated run.
+appended the same digest to does no harm, nor does a repeated run. Rows take the count of their digest from
+a table of this input's digests; those few that hold much of the rows are broadcast.
 
 Defined cases: null counts as empty (0 tokens); an empty table gives an empty result; a null id is an
 id like any other; rows that repeat id and text are counted alike; very long texts are counted whole;
@@ -29,6 +30,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relmix.llm.columns import narrow, small_batches, text_or_empty
+from relmix.llm.hot import with_group
 from relmix.llm.prefilter import Filter
 from relmix.llm.workers import tidy
 from relmix.session import scratch, stored
@@ -108,7 +110,8 @@ class TokenCountCache:
         counts = counts[0].unionAll(counts[1])
         # rows that repeat a missed (id, text) were each counted: the cache gets one count for each digest
         counts.groupBy("digest").agg(F.first("n_tokens").alias("n_tokens")).write.mode("append").parquet(self.path)
-        return keys.join(self.rows(), "digest").select("id", "n_bytes", "n_tokens")
+        found = groups.select(F.col("d").alias("digest"), "n").join(self.rows(), "digest")
+        return with_group(keys, stored(found, "count-found"), "digest").select("id", "n_bytes", "n_tokens")
 
 
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
