@@ -14,7 +14,9 @@ with one row a site; the texts are read in one narrow pass and never shuffled.
 
 Defined cases: null and empty texts are documents without words and judged by that; a null host or
 path is a site of its own; without labels of both kinds the fixed starting weights are used; label
-rows that repeat an id count once (the lowest label); an empty table gives an empty result.
+rows that repeat an id count once (the lowest label); an empty table gives an empty result; very long texts
+are read whole, and the share of distinct words compares logarithms, so it has one form at every length;
+rows that repeat are documents of their own; only the named columns are read, so others cannot clash.
 """
 
 from __future__ import annotations
@@ -76,7 +78,7 @@ def text_features(column: pa.Array) -> np.ndarray:
             f[:, 4] = np.minimum(n[:, 4] / w * 2, 3)
             f[:, 5] = np.minimum(n[:, 5] / w, 3)
             f[:, 6] = np.minimum(repeats / w * 8, 3)
-            f[:, 7] = 1 - np.minimum(distinct / np.minimum(w, 400), 1)
+            f[:, 7] = 1 - np.log1p(distinct) / np.log1p(w)
             f[:, 8] = n[:, 6] / bytes_
             f[:, 9] = np.clip((letters / w - 5) / 5, -1, 3)
             f[:, 10] = 1 / np.sqrt(w)
