@@ -13,8 +13,9 @@ turns that into one row a block, and ``read_range`` decodes only the frames of a
 Defined cases: null and empty input become one block of 64 zero bytes; payloads are padded with
 zeros to a positive multiple of 64; a null, truncated or altered file gives valid = false and a null
 payload; texts of any length are cut into frames of 4,096 samples; equal payloads give equal files.
-The decoder reads 8-bit mono streams of fixed block size with 4-bit Rice parameters of any partition
-order, without wasted bits; other streams are reported as not valid.
+The lockstep decoder reads 8-bit mono streams of fixed block size with 4-bit Rice parameters, without
+escape partitions and wasted bits. All other streams go frame by frame through ``flac_streams``; where they
+are not 8-bit mono their payload is interleaved little-endian signed samples and ``feature`` is null.
 """
 
 from __future__ import annotations
@@ -516,9 +517,6 @@ def decode_files(files: list[bytes | None]) -> list[tuple[bytes | None, list[tup
         except (ValueError, IndexError):
             info.append(None)
     result: list = [(None, [])] * len(files)
-    for i, at, starts in todo:
-        if starts is None:
-            result[i] = _decode_serially(files[i], at, info[i])
     ready = [(i, at, starts) for i, at, starts in todo if starts is not None]
     frames: dict[int, list] = {i: [] for i, _, _ in ready}
     for group in _by_bytes(ready, files):
@@ -535,7 +533,7 @@ def decode_files(files: list[bytes | None]) -> list[tuple[bytes | None, list[tup
             frames[i].append((number, s, x))
     for i, found in frames.items():
         result[i] = _joined(found, info[i])
-    return result
+    return [_decode_general(file) if found[0] is None and file else found for file, found in zip(files, result, strict=True)]
 
 
 def _by_bytes(ready: list, files: list) -> Iterator[list[tuple[int, int, int, list[int]]]]:
@@ -568,16 +566,23 @@ def _joined(frames: list, info: tuple) -> tuple[bytes | None, list[tuple[int, in
     return (signed.astype(np.int16) + 128).astype(np.uint8).tobytes(), [(n * block, s, len(x)) for n, s, x in frames]
 
 
-def _decode_serially(file: bytes, at: int, info: tuple) -> tuple[bytes | None, list]:
-    """A file without a complete seek table: a frame's end gives the next one's start."""
-    frames = []
-    while at < len(file):
-        samples, ends, numbers = decode_frames(file[at : at + 4 * BLOCK + 64], [0], [info[0]])
-        frames.append((numbers[0], at, samples[0]))
-        if samples[0] is None:
-            return None, []
-        at += ends[0]
-    return _joined(frames, info)
+def _decode_general(file: bytes) -> tuple[bytes | None, list[tuple[int, int, int]]]:
+    """Streams of other forms, and those without a complete seek table: a frame's end gives the next one's start."""
+    from relmix.llm.flac_streams import decode_stream, stream_info
+
+    try:
+        payload, blocks = decode_stream(file)
+        info = stream_info(file)
+    except (ValueError, IndexError):
+        return None, []
+    if (info.channels, info.bits) == (1, 8):
+        payload = (np.frombuffer(payload, np.int8).astype(np.int16) + 128).astype(np.uint8).tobytes()
+    return payload, blocks
+
+
+def _is_bytes(file: bytes) -> bool:
+    """8-bit mono, by the packed field of the stream information."""
+    return file[20] & 0x0E == 0 and (file[20] & 1) << 4 | file[21] >> 4 == 7
 
 
 def read_range(file: bytes, start: int, stop: int) -> bytes:
@@ -657,7 +662,7 @@ def decode(media: DataFrame, flac_col: str = "flac") -> DataFrame:
                         pa.array([p for p, _ in found], pa.binary()),
                         pa.array([p is not None for p, _ in found], pa.bool_()),
                         pa.array([[{"sample_offset": a, "byte_offset": b, "samples": c} for a, b, c in x] for _, x in found], _BLOCKS),
-                        pa.array([feature_of(p, x) if p else None for p, x in found], pa.string()),
+                        pa.array([feature_of(p, x) if p and _is_bytes(file) else None for file, (p, x) in zip(part, found, strict=True)], pa.string()),
                     ],
                 )
 
@@ -667,8 +672,10 @@ def decode(media: DataFrame, flac_col: str = "flac") -> DataFrame:
 
 def pcm_blocks(decoded: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """(id, sample_offset, samples, byte_offset, block): one row a PCM block, for tables clustered by offset."""
-    rows = decoded.select(F.col(f"`{id_col}`").alias("id"), "payload", F.explode("pcm").alias("b"))
-    block = F.expr("substring(payload, CAST(b.sample_offset + 1 AS INT), b.samples)")
+    # bytes of one sample of all channels
+    width = F.expr("octet_length(payload) DIV aggregate(pcm, 0L, (n, b) -> n + b.samples)").alias("width")
+    rows = decoded.select(F.col(f"`{id_col}`").alias("id"), "payload", width, F.explode("pcm").alias("b"))
+    block = F.expr("substring(payload, CAST(b.sample_offset * width + 1 AS INT), CAST(b.samples * width AS INT))")
     return rows.select("id", "b.sample_offset", "b.samples", "b.byte_offset", block.alias("block"))
 
 
