@@ -1,5 +1,9 @@
 """What larger tables and times of day with fractions showed."""
 
+import pytest
+from pyspark.sql import functions as F
+
+from relmix import catalogue
 from relmix.streaming import events as E
 
 
@@ -7,6 +11,22 @@ def stream_rows(spark):
     return spark.sql("SELECT id AS event_id, timestamp_seconds(1704067200 + id * 600) AS ts, id % 3 AS user_id, 'click' AS event_type, double(id % 7) AS value, '{}' AS props FROM range(60)")
 
 
+@pytest.mark.parametrize("mode", ["append"])
+def test_a_stream_writes_files_and_nothing_to_the_driver(spark, mode):
+    stream = E.replay(spark, stream_rows(spark), 3)
+    frame = E.score_stream(stream, catalogue.surrounding.fixed_view()).select("event_id", "comp") if mode == "append" else E.sessions(stream, "20 minutes")
+    if mode == "update":
+        frame = E.running_stats(stream)
+    out = E.finished(spark, frame, mode, f"t_files_{mode}")
+    assert out.inputFiles() and out.schema.names == frame.schema.names
+    if mode == "append":
+        assert sorted(r.event_id for r in out.collect()) == list(range(60))
+    elif mode == "complete":
+        assert out.agg(F.sum("n")).head()[0] == 60
+    else:
+        assert sorted(r[0] for r in out.groupBy("user_id").agg(F.max("n")).select("max(n)").collect()) == [20, 20, 20]
+
+
 def test_a_stream_without_rows_gives_an_empty_frame(spark):
     for mode, frame in (("append", lambda s: s.select("event_id")), ("complete", lambda s: E.sessions(s, "20 minutes"))):
         assert E.finished(spark, frame(E.replay(spark, stream_rows(spark).limit(0), 1)), mode, f"t_none_{mode}").collect() == []
