@@ -11,7 +11,7 @@ def stream_rows(spark):
     return spark.sql("SELECT id AS event_id, timestamp_seconds(1704067200 + id * 600) AS ts, id % 3 AS user_id, 'click' AS event_type, double(id % 7) AS value, '{}' AS props FROM range(60)")
 
 
-@pytest.mark.parametrize("mode", ["append"])
+@pytest.mark.parametrize("mode", ["append", "complete", "update"])
 def test_a_stream_writes_files_and_nothing_to_the_driver(spark, mode):
     stream = E.replay(spark, stream_rows(spark), 3)
     frame = E.score_stream(stream, catalogue.surrounding.fixed_view()).select("event_id", "comp") if mode == "append" else E.sessions(stream, "20 minutes")
