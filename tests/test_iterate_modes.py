@@ -60,3 +60,14 @@ def test_states_are_bounded_before_they_are_collected(spark, monkeypatch):
     with pytest.raises(IterationError):
         run(spark, big)
     assert run(spark, spec, "dataframe").result.count() == 24
+
+
+@pytest.mark.parametrize("merge", ["append", "distinct", "replace"])
+def test_a_loop_that_outgrows_its_bound_goes_on_in_the_shared_folder(spark, monkeypatch, merge):
+    b = iterate("r", "k", "v").start("SELECT id AS k, 0 AS v FROM range(3)").next("SELECT k + 2 AS k, v + 1 AS v FROM r WHERE k + 2 < 19")
+    spec = (b.replace_on("k") if merge == "replace" else getattr(b, merge)()).max_rounds(30).build()
+    want = run(spark, spec, "dataframe")
+    for most in (2, 6, 1000):
+        monkeypatch.setattr(it, "MOST_STATE", most)
+        got = run(spark, spec, overflow="dataframe")
+        assert sorted(map(tuple, got.result.collect())) == sorted(map(tuple, want.result.collect())) and got.rounds == want.rounds
