@@ -40,7 +40,7 @@ def test_sweep_rows_are_those_of_the_whole_table(spark, sf):
         assert few.orderBy("tid").collect() == whole.orderBy("tid").limit(200).collect()
 
 
-@pytest.mark.parametrize("name", ["closure_depth"])
+@pytest.mark.parametrize("name", ["closure_depth", "closure_loop"])
 def test_closures_larger_than_the_loop_holds(spark, sf, monkeypatch, name):
     want = sorted(map(tuple, catalogue.queries()[name](spark, sf).collect()))
     monkeypatch.setattr(it, "MOST_STATE", 40)
