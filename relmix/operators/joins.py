@@ -2,8 +2,9 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import TimestampNTZType
 
 
 def asof_model(df: DataFrame, versions: DataFrame, ts: str, valid_from: str = "valid_from", keys: list[str] | None = None) -> DataFrame:
@@ -28,14 +29,21 @@ def asof_model(df: DataFrame, versions: DataFrame, ts: str, valid_from: str = "v
 
 
 def interval_join(a: DataFrame, b: DataFrame, a_ts: str, b_ts: str, before_s: int, after_s: int, bucket_s: int | None = None) -> DataFrame:
-    """Pairs with b_ts in [a_ts - before, a_ts + after], as an equi-join on time buckets and a residual filter."""
-    size = bucket_s or max(before_s + after_s, 1)
-    sec = lambda c: F.col(c).cast("timestamp").cast("long")
-    low, high = F.floor((sec(a_ts) - before_s) / size), F.floor((sec(a_ts) + after_s) / size)
-    left = a.withColumn("__b", F.explode(F.sequence(low, high)))
-    right = b.withColumn("__b", F.floor(sec(b_ts) / size))
-    near = (sec(b_ts) >= sec(a_ts) - before_s) & (sec(b_ts) <= sec(a_ts) + after_s)
-    return left.join(right, "__b").filter(near).drop("__b")
+    """Pairs with b_ts in [a_ts - before, a_ts + after] to the microsecond, as an equi-join on time buckets and a residual filter."""
+    size = (bucket_s or max(before_s + after_s, 1)) * 1_000_000
+    before, after = before_s * 1_000_000, after_s * 1_000_000
+    a_at, b_at = micros(a, a_ts), micros(b, b_ts)
+    left = a.withColumn("__a", a_at).withColumn("__b", F.explode(F.sequence(F.floor((F.col("__a") - before) / size), F.floor((F.col("__a") + after) / size))))
+    right = b.withColumn("__at", b_at).withColumn("__b", F.floor(F.col("__at") / size))
+    near = (F.col("__at") >= F.col("__a") - before) & (F.col("__at") <= F.col("__a") + after)
+    return left.join(right, "__b").filter(near).drop("__a", "__at", "__b")
+
+
+def micros(df: DataFrame, ts: str) -> Column:
+    """Microseconds since 1970 of a time column; local times are counted as such, without any zone's clock changes."""
+    if isinstance(df.schema[ts].dataType, TimestampNTZType):
+        return F.timestamp_diff("MICROSECOND", F.lit("1970-01-01").cast("timestamp_ntz"), F.col(ts))
+    return F.unix_micros(F.col(ts).cast("timestamp"))
 
 
 def within_radius(df: DataFrame, model: DataFrame, radius: float, x: str = "x0", mu: str = "mu") -> DataFrame:
