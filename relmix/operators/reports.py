@@ -2,9 +2,15 @@
 
 from __future__ import annotations
 
+from functools import reduce
+from operator import add
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from relmix.operators.quantiles import order_statistics
+from relmix.session import stored
+
 
 def segment_report(assigned: DataFrame, dims: list[str], measure: str, how: str = "cube") -> DataFrame:
     """Counts and sums over ``cube`` or ``rollup`` of the dimensions, with the grouping id."""
@@ -31,9 +37,11 @@ def rank_components(r: DataFrame) -> DataFrame:
 
 
 def ntiles(df: DataFrame, cols: list[str], buckets: int = 5) -> DataFrame:
-    """Quantile scores of each column by approximate bounds: one aggregate, then row-local, unlike a global window."""
+    """Quantile scores of each column by exact bounds: 1 and the number of bounds below the value; null has no bound below.
+
+    The rows are written once, because counting and scoring read them several times."""
+    rows = stored(df, "ntiles")
     steps = [i / buckets for i in range(1, buckets)]
-    bounds = df.agg(*[F.percentile_approx(c, steps, 1_000_000).alias(f"__b_{c}") for c in cols])
-    joined = df.crossJoin(F.broadcast(bounds))  # one row
-    score = lambda c: F.aggregate(F.col(f"__b_{c}"), F.lit(1), lambda s, b: s + F.when(F.col(c) > b, 1).otherwise(0))
-    return joined.select(*df.columns, *[score(c).alias(f"{c}_score") for c in cols])
+    bounds = {c: [b for b in order_statistics(rows, c, steps) if b is not None] for c in cols}
+    score = lambda c: reduce(add, [F.when(F.col(c) > F.lit(b).cast(rows.schema[c].dataType), 1).otherwise(0) for b in bounds[c]], F.lit(1))
+    return rows.select(*df.columns, *[score(c).alias(f"{c}_score") for c in cols])
