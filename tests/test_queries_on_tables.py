@@ -14,7 +14,7 @@ def folder(spark, sf, tmp_path_factory):
     return path
 
 
-@pytest.mark.parametrize("name", ["assign_all_ties", "counter_capped", "source_planted"])
+@pytest.mark.parametrize("name", ["assign_all_ties", "counter_capped", "source_planted", "udtf_components"])
 def test_equal_to_sql_over_customers(spark, folder, name):
     frame = catalogue.queries()[name](spark, f"file://{folder}")
     con = duckdb.connect()
