@@ -23,3 +23,10 @@ def test_equal_to_sql_over_customers(spark, folder, name):
     names = [c[0] for c in want.description]
     got = sorted(map(tuple, frame.select(*names).collect()))
     assert got and got == sorted(want.fetchall())
+
+
+def test_a_draw_for_every_customer(spark, sf):
+    got = sorted(map(tuple, catalogue.queries()["udtf_sample"](spark, sf).collect()))
+    assert sum(r[1] for r in got) == spark.read.parquet(f"{sf}/customer.parquet").count()
+    assert [round(r[2]) for r in got] == [1, 4] or [round(r[2]) for r in got] == [1, 5]
+    assert got == sorted(map(tuple, catalogue.queries()["udtf_sample"](spark, sf).collect()))
