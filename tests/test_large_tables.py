@@ -61,6 +61,10 @@ def test_events_a_whole_gap_apart_are_of_two_sessions(spark, tmp_path):
     assert sorted((str(r.start)[8:], r.n) for r in got) == [("01 00:00:00", 1), ("01 04:00:00", 3), ("02 00:00:00", 1)]
 
 
+def test_events_without_a_value_are_of_no_component(spark, tmp_path):
+    assert [tuple(r) for r in catalogue.queries()["stream_scored"](spark, odd_events(spark, tmp_path)).collect()] == [(1, 4)]
+
+
 def test_a_stream_without_rows_gives_an_empty_frame(spark):
     for mode, frame in (("append", lambda s: s.select("event_id")), ("complete", lambda s: E.sessions(s, "20 minutes"))):
         assert E.finished(spark, frame(E.replay(spark, stream_rows(spark).limit(0), 1)), mode, f"t_none_{mode}").collect() == []
